@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, media, quality_rules
+from . import bpe, jaccard_join, media, quality_rules, substring_dedup
 
 
 def _documents(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -16,10 +16,16 @@ def _documents(spark: SparkSession, sf_dir: str) -> DataFrame:
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_bpe_roundtrip": lambda s, d: bpe.bpe_digest(_documents(s, d)),
+        "op2_ngram_jaccard": lambda s, d: jaccard_join.ngram_components(_documents(s, d)),
+        "op3_substring_dedup": lambda s, d: substring_dedup.digest(_documents(s, d)),
         "op4_quality_rules": lambda s, d: quality_rules.digest(_documents(s, d)),
         "op6_media_columns": lambda s, d: media.media_digest(_documents(s, d)),
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op4_quality_rules": quality_rules.SQL}
+    return {
+        "op2_ngram_jaccard": jaccard_join.SQL,
+        "op3_substring_dedup": substring_dedup.SQL,
+        "op4_quality_rules": quality_rules.SQL,
+    }
