@@ -27,7 +27,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 
 from . import kernels as K
-from .common import text_column, tokenizer_json
+from .common import text_column, tokenizer_json, with_fields
 
 #: Texts of these characters take the vectorised way: printable ASCII, tab, line ends, Latin-1 and Latin Extended-A, without controls, no-break space and the dotted capital I.
 _FAST = np.zeros(0x180, bool)
@@ -327,7 +327,6 @@ def model_of(content: bytes) -> BpeModel:
 
 
 _ROUNDTRIP = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"
-_TOKENS = "ids array<int>"
 
 
 def bpe_digest(docs: DataFrame, tokenizer_path: str | None = None) -> DataFrame:
@@ -369,7 +368,7 @@ def bpe_encode(docs: DataFrame, tokenizer_path: str | None = None) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([*part.columns, pa.ListArray.from_arrays(pa.array(bounds.astype(np.int32)), pa.array(ids.astype(np.int32)))], [*kept, "ids"])
 
     out = docs.select(*kept)
-    return out.mapInArrow(run, out.schema.add("ids", "array<int>"))
+    return out.mapInArrow(run, with_fields(out.schema, "ids array<int>"))
 
 
 def bpe_decode(rows: DataFrame, tokenizer_path: str | None = None) -> DataFrame:
@@ -385,4 +384,4 @@ def bpe_decode(rows: DataFrame, tokenizer_path: str | None = None) -> DataFrame:
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(texts, pa.string())], [*kept, "decoded"])
 
     out = rows.select(*kept)
-    return out.mapInArrow(run, out.schema.add("decoded", "string"))
+    return out.mapInArrow(run, with_fields(out.schema, "decoded string"))

@@ -62,6 +62,11 @@ def _signature(edges: DataFrame) -> tuple:
     return tuple(row)
 
 
+def with_fields(schema: T.StructType, ddl: str) -> T.StructType:
+    """A new schema with further fields, given as ``name type, ...``."""
+    return T.StructType([*schema.fields, *T.StructType.fromDDL(ddl).fields])
+
+
 def text_column(docs: DataFrame, name: str = "text"):
     """The text as a string, null as it is."""
     return F.col(name).cast(T.StringType())

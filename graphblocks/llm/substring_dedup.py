@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import kernels as K
-from .common import text_column
+from .common import text_column, with_fields
 
 FIRST_LEVEL = 4
 _TAG_SHIFT, _PLACE_MASK = 32, (1 << 32) - 1
@@ -241,7 +241,7 @@ def substring_dedup(docs: DataFrame, length: int = 13) -> DataFrame:
                 cols[text_at] = texts
                 yield pa.RecordBatch.from_arrays([*cols, pa.array(n_words), pa.array(n_removed)], [*names, "n_words", "n_removed"])
 
-    return joined.mapInArrow(run, docs.schema.add("n_words", "long").add("n_removed", "long"))
+    return joined.mapInArrow(run, with_fields(docs.schema, "n_words long, n_removed long"))
 
 
 def digest(docs: DataFrame) -> DataFrame:
