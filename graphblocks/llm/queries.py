@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, jaccard_join, language_id, media, packing, quality_fm, quality_rules, substring_dedup
+from . import bpe, jaccard_join, language_id, line_dedup, media, packing, quality_fm, quality_rules, substring_dedup
 
 
 def _documents(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -21,6 +21,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op4_quality_rules": lambda s, d: quality_rules.digest(_documents(s, d)),
         "op6_media_columns": lambda s, d: media.media_digest(_documents(s, d)),
         "op7_quality_classifier": lambda s, d: quality_fm.digest(_documents(s, d), s.read.parquet(f"{d}/labels.parquet")),
+        "op8_line_dedup": lambda s, d: line_dedup.digest(_documents(s, d)),
         "op9_packing": lambda s, d: packing.pack(_documents(s, d)),
         "op10_language_id": lambda s, d: language_id.digest(_documents(s, d)),
     }
