@@ -38,7 +38,10 @@ def connected(links: DataFrame, max_rounds: int = 60) -> DataFrame:
     """
     edges = links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u > v").distinct()
     edges = stash(edges)
+    told = _signature(edges)
     for _ in range(max_rounds):
+        if not told[0]:
+            break
         both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
         low = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"))
         large = both.where("v > u").join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v"))
@@ -46,9 +49,8 @@ def connected(links: DataFrame, max_rounds: int = 60) -> DataFrame:
         low = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u > v")
         after = stash(small.unionByName(low.select("u", F.col("m").alias("v"))).distinct())
-        same = _signature(after) == _signature(edges)
-        edges = after
-        if same:
+        before, told, edges = told, _signature(after), after
+        if told == before:
             break
     else:
         raise RuntimeError("components did not settle")
@@ -67,6 +69,14 @@ def with_fields(schema: T.StructType, ddl: str) -> T.StructType:
     return T.StructType([*schema.fields, *T.StructType.fromDDL(ddl).fields])
 
 
+def typed(docs: DataFrame) -> DataFrame:
+    """The rows with a long doc_id and a string text; columns that are so already stay as they are, so that plans of one table look alike."""
+    for name, kind in (("doc_id", T.LongType()), ("text", T.StringType())):
+        if docs.schema[name].dataType != kind:
+            docs = docs.withColumn(name, F.col(name).cast(kind))
+    return docs
+
+
 def text_column(docs: DataFrame, name: str = "text"):
     """The text as a string, null as it is."""
     return F.col(name).cast(T.StringType())

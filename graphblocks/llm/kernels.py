@@ -41,7 +41,7 @@ _BYTE_VALUE = mix64(np.arange(1, 257, dtype=np.uint64) * _BASE)
 _powers: list[np.ndarray] = [np.ones(1, np.uint64), np.ones(1, np.uint64)]
 
 
-def _power_tables(n: int) -> tuple[np.ndarray, np.ndarray]:
+def power_tables(n: int) -> tuple[np.ndarray, np.ndarray]:
     """Powers 0..n of an odd base modulo 2**64, and of its inverse."""
     if len(_powers[0]) <= n:
         size = max(n + 1, CHUNK_BYTES + 4096)
@@ -55,7 +55,7 @@ def _power_tables(n: int) -> tuple[np.ndarray, np.ndarray]:
 
 def prefix_hash(data: np.ndarray) -> np.ndarray:
     """Prefix sums from which ``span_hash`` gets the hash of any byte span."""
-    power, _ = _power_tables(len(data))
+    power, _ = power_tables(len(data))
     out = np.zeros(len(data) + 1, np.uint64)
     np.cumsum(_BYTE_VALUE[data] * power[: len(data)], out=out[1:])
     return out
@@ -63,7 +63,7 @@ def prefix_hash(data: np.ndarray) -> np.ndarray:
 
 def span_hash(prefix: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
     """64-bit hashes of the spans, the same for equal bytes anywhere."""
-    _, inverse = _power_tables(len(prefix))
+    _, inverse = power_tables(len(prefix))
     return mix64((prefix[ends] - prefix[starts]) * inverse[starts] + (ends - starts).astype(np.uint64))
 
 

@@ -1,16 +1,19 @@
 """Removal of word windows that other documents have already: level-wise doubling.
 
 A window of ``length`` words can only be repeated if the windows inside it are.
-So windows of 4 words come first, those that are repeated are extended to 8
-words, and so on by doubling up to ``length``; a level only looks at places that
-all levels before left open.
-
-The levels below the last are thinned by content: of the short windows inside a
-full window only the one with the least hash stands for it.  Equal full windows
-have equal representatives, so nothing is missed, and a level moves about
-2 / (length - level + 2) rows for each word.
-
-Each level is one shuffle.  Before it, a task settles what it can see itself: of
+So windows of FIRST_LEVEL words come first, and only where they are repeated are
+they extended, to twice the words at each level and at last to ``length``.
+
+* The first level is thinned by content: of the short windows inside a full one,
+  the one with the least hash stands for it.  Equal full windows have equal
+  representatives, so nothing is missed, and one word in five makes a row.
+* Neighbouring full windows with one representative form a run.  Runs are
+  extended as a whole: in all documents but the smallest that has it, a repeated
+  run goes.
+* What a smallest document keeps of a run may still be found in other runs of
+  the same representative.  Only there single windows are extended by doubling.
+
+Each step is one shuffle.  Before it, a task settles what it can see itself: of
 equal windows in one task a single row goes on, so a passage that a third of all
 documents share costs one row for each task.
 """
@@ -26,17 +29,20 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import kernels as K
-from .common import text_column, with_fields
+from .common import typed, with_fields
 
 FIRST_LEVEL = 4
-_TAG_SHIFT, _PLACE_MASK = 32, (1 << 32) - 1
 _KEY_BITS = np.uint64(24)
+#: The first level only filters, so 48 bits of its hashes do.
+_FILTER_BITS = np.uint64(16)
 _SEGMENT = 1 << 22
-
-_PLACES = "h long, doc long, place long, sure boolean"
+#: A place packs 16 bits that tell texts of one id apart, a start, and how many windows start from it on.
+TAG, START, MANY = 40, 8, (1 << 8) - 1
+_NORMAL, _EVIDENCE, _SURE = 0, 1, 2
+_ROWS = "h long, run long, doc long, place long, kind int"
 
 
-def _least_positions(grams: np.ndarray, width: int) -> np.ndarray:
+def least_positions(grams: np.ndarray, width: int) -> np.ndarray:
     """For each of len - width + 1 starts, the position of the least of ``width`` hashes (their upper 40 bits, then the leftmost)."""
     n = len(grams) - width + 1
     if n <= 0:
@@ -56,100 +62,146 @@ def _least_positions(grams: np.ndarray, width: int) -> np.ndarray:
     return out
 
 
+def runs_of(stands: np.ndarray, starts: np.ndarray, row: np.ndarray) -> tuple[np.ndarray, ...]:
+    """(start, row, representative, size) of the runs of neighbouring windows with one representative; a run has MANY windows at most."""
+    first = np.ones(len(starts), bool)
+    first[1:] = (stands[1:] != stands[:-1]) | (row[1:] != row[:-1])
+    begin = np.flatnonzero(first)
+    start, run_row, stand = starts[begin], row[begin], stands[begin]
+    size = np.diff(np.append(begin, len(starts)))
+    if (size > MANY).any():
+        parts = -(-size // MANY)
+        step = K.ranges(np.zeros(len(parts), np.int64), parts)
+        size = np.minimum(np.repeat(size, parts) - step * MANY, MANY)
+        start, run_row, stand = np.repeat(start, parts) + step * MANY, np.repeat(run_row, parts), np.repeat(stand, parts)
+    return start, run_row, stand, size
+
+
+def list_column(column: pa.Array, i: int, j: int) -> tuple[np.ndarray, np.ndarray]:
+    """The values of rows i to j - 1 of a list column, and their rows counted from i."""
+    own = column.slice(i, j - i)
+    counts = np.asarray(own.value_lengths().fill_null(0))
+    return own.flatten().to_numpy(zero_copy_only=False).astype(np.int64), np.repeat(np.arange(j - i), counts)
+
+
 class _Chunk:
-    """The words of some rows, with what all levels need of them."""
+    """The words of some rows, with the runs of their windows."""
 
-    def __init__(self, data: np.ndarray, offsets: np.ndarray):
+    def __init__(self, data: np.ndarray, offsets: np.ndarray, length: int):
+        self.length = length
         self.starts, self.ends, self.first = K.word_spans(data, offsets)
         prefix = K.prefix_hash(data)
         self.words = K.span_hash(prefix, self.starts, self.ends)
-        whole = K.span_hash(prefix, offsets[:-1], offsets[1:])
-        #: Tells texts of one doc_id apart.
-        self.tag = (whole & np.uint64(0xFFFF)).astype(np.int64) << _TAG_SHIFT
-
-    def windows(self, length: int) -> tuple[np.ndarray, np.ndarray]:
-        """Starts and rows of the full windows."""
-        return K.gram_rows(self.first, length, max(0, len(self.words) - length + 1))
-
-    def given(self, places: np.ndarray, row: np.ndarray) -> np.ndarray:
-        """Word indices in the chunk of (row, place) pairs; those of another text with the same doc_id are left out."""
-        own = (places & ~_PLACE_MASK) == self.tag[row]
-        return self.first[row[own]] + (places[own] & _PLACE_MASK)
-
-
-def _level(chunk: _Chunk, length: int, level: int, marks: np.ndarray | None, marked_level: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(hashes, places, rows) of this level's windows where the marks of the level before leave a full window open."""
-    at, row = chunk.windows(length)
-    if marks is not None and len(at):
-        seen = np.zeros(len(chunk.words), bool)
-        seen[marks] = True
-        before = _least_positions(K.gram_hash(chunk.words, marked_level), length - marked_level + 1)
-        open_ = seen[before[at]]
-        at, row = at[open_], row[open_]
-    grams = K.gram_hash(chunk.words, level)
-    if level < length and len(at):
-        chosen = _least_positions(grams, length - level + 1)[at]
-        keep = np.ones(len(chosen), bool)
-        keep[1:] = (chosen[1:] != chosen[:-1]) | (row[1:] != row[:-1])
-        at, row = chosen[keep], row[keep]
-    return grams[at], (at - chunk.first[row]) | chunk.tag[row], row
-
-
-def _settle(h: np.ndarray, doc: np.ndarray, place: np.ndarray, last: bool) -> tuple[np.ndarray, ...]:
-    """What a task can tell by itself, as rows (h, doc, place, sure).
-
-    Before the last level a place is sure if the task has its window in another
-    document too; at the last one, if it has it in a smaller document.  A window
-    goes on with the places of its smallest document in the task.
+        self.tag = (K.span_hash(prefix, offsets[:-1], offsets[1:]) & np.uint64(0xFFFF)).astype(np.int64)
+
+    def runs(self) -> tuple[np.ndarray, ...]:
+        """Start, row, representative and size of the runs, and the hashes of the first level's windows."""
+        at, row = K.gram_rows(self.first, self.length, max(0, len(self.words) - self.length + 1))
+        level = min(FIRST_LEVEL, self.length)
+        grams = K.gram_hash(self.words, level)
+        stands = least_positions(grams, self.length - level + 1)[at] if len(at) else at
+        return (*runs_of(stands, at, row), grams)
+
+    def run_hashes(self, starts: np.ndarray, stands: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+        """Hashes of all words of runs, and of where their representative lies."""
+        power, inverse = K.power_tables(len(self.words) + 1)
+        whole = np.concatenate([[np.uint64(0)], np.cumsum(self.words * power[: len(self.words)])])
+        sums = (whole[starts + sizes + self.length - 1] - whole[starts]) * inverse[starts]
+        return K.mix64(K.mix64(sums) + (stands - starts).astype(np.uint64) * np.uint64(MANY + 1) + sizes.astype(np.uint64))
+
+    def window_hashes(self) -> np.ndarray:
+        """Hashes of all full windows, by doubling from the first level on."""
+        level = min(FIRST_LEVEL, self.length)
+        h = K.gram_hash(self.words, level)
+        while level < self.length:
+            step = min(level, self.length - level)
+            if len(h) <= step:
+                return np.zeros(0, np.uint64)
+            h = K.mix64(h[:-step] * np.uint64(0x9FB21C651E98DF25) + h[step:])
+            level += step
+        return h
+
+    def places(self, starts: np.ndarray, rows: np.ndarray, many) -> np.ndarray:
+        return self.tag[rows] << TAG | (starts - self.first[rows]) << START | many
+
+    def given(self, places: np.ndarray, rows: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Starts, counts and rows of the places that are of this text."""
+        own = places >> TAG == self.tag[rows]
+        places, rows = places[own], rows[own]
+        return self.first[rows] + (places >> START & 0xFFFFFFFF), places & MANY, rows
+
+
+def _settle(step: int, h: np.ndarray, run: np.ndarray, doc: np.ndarray, place: np.ndarray, kind: np.ndarray) -> pa.RecordBatch:
+    """What a task can tell by itself.
+
+    Step 1: a place is sure if the task has its window in another document too,
+    and one row of evidence goes on for each such window.  Steps 2 and 3: a
+    place is sure if the task has its run or window in a smaller document; those
+    of the smallest document go on.
     """
-    order = np.lexsort((doc, h))
-    h, doc, place = h[order], doc[order], place[order]
+    order = np.lexsort((doc, run, h))
+    h, run, doc, place, kind = (x[order] for x in (h, run, doc, place, kind))
     first = np.ones(len(h), bool)
-    first[1:] = h[1:] != h[:-1]
-    run = np.cumsum(first) - 1
+    first[1:] = (h[1:] != h[:-1]) | (run[1:] != run[:-1])
+    group = np.cumsum(first) - 1
     begin = np.flatnonzero(first)
-    least = doc[begin][run]
-    later = doc > least
-    if last:
-        sure = later
-        go_on = ~later
+    if step == 1:
+        last = np.append(begin[1:], len(h)) - 1
+        sure = (doc[last] > doc[begin])[group]
+        on = np.flatnonzero(~sure)
+        lone = begin[sure[begin]]
     else:
-        stop = np.append(begin[1:], len(h)) - 1
-        sure = (doc[stop] > doc[begin])[run]
-        go_on = ~sure
-    lone = np.zeros(0, np.int64) if last else begin[sure[begin]]  # evidence for other tasks
-    key = np.where(sure, K.mix64(h ^ place.astype(np.uint64) ^ doc.astype(np.uint64) << np.uint64(20)), h)
-    index = np.concatenate([np.flatnonzero(sure), np.flatnonzero(go_on), lone])
-    key = np.concatenate([key[sure], h[go_on], h[lone]])
-    place = np.concatenate([place[sure], place[go_on], np.full(len(lone), -1)])
-    flag = np.concatenate([np.ones(int(sure.sum()), bool), np.zeros(int(go_on.sum()) + len(lone), bool)])
-    return key, doc[index], place, flag
-
-
-def _emit(length: int, level: int, marked_level: int, id_at: int, text_at: int, marks_at: int | None):
-    rows_at_once = 4_000_000
+        later = doc > doc[begin][group]
+        sure = later & (kind == _NORMAL)
+        on, lone = np.flatnonzero(~later), np.zeros(0, np.int64)
+    told = np.flatnonzero(sure)
+    scattered = K.mix64(h[told] ^ place[told].astype(np.uint64) ^ doc[told].astype(np.uint64) << np.uint64(20))
+    at = np.concatenate([told, on, lone])
+    key = np.concatenate([scattered, h[on], h[lone]])
+    kinds = np.concatenate([np.full(len(told), _SURE), kind[on], np.full(len(lone), _EVIDENCE)]).astype(np.int32)
+    return pa.RecordBatch.from_arrays([pa.array(key.view(np.int64)), pa.array(run[at].view(np.int64)), pa.array(doc[at]), pa.array(place[at]), pa.array(kinds)], ["h", "run", "doc", "place", "kind"])
+
+
+def _emit(step: int, length: int, id_at: int, text_at: int, lists_at: int):
+    """Rows of the steps: 1 representatives, 2 runs (h is the representative), 3 windows."""
+    rows_at_once = 3_000_000
+
+    def of_chunk(chunk: _Chunk, batch: pa.RecordBatch, i: int, j: int) -> list[tuple[np.ndarray, ...]]:
+        if step < 3:
+            start, row, stand, size, grams = chunk.runs()
+            if step == 1:
+                one = np.ones(len(stand), bool)
+                one[1:] = stand[1:] != stand[:-1]
+                stand, row = stand[one], row[one]
+                return [(grams[stand] >> _FILTER_BITS, np.zeros(len(stand), np.uint64), row, chunk.places(stand, row, 0), np.zeros(len(stand), np.int32))]
+            at, _, _ = chunk.given(*list_column(batch.column(lists_at), i, j))
+            seen = np.zeros(len(chunk.words), bool)
+            seen[at] = True
+            open_ = seen[stand] if len(stand) else np.zeros(0, bool)
+            start, row, stand, size = start[open_], row[open_], stand[open_], size[open_]
+            return [(grams[stand], chunk.run_hashes(start, stand, size), row, chunk.places(start, row, size), np.zeros(len(start), np.int32))] if len(start) else []
+        out = []
+        windows = None
+        for column, kind in ((lists_at, _NORMAL), (lists_at + 1, _EVIDENCE)):
+            at, many, row = chunk.given(*list_column(batch.column(column), i, j))
+            if len(at):
+                windows = chunk.window_hashes() if windows is None else windows
+                starts, row = K.ranges(at, many), np.repeat(row, many)
+                out.append((windows[starts], np.zeros(len(starts), np.uint64), row, chunk.places(starts, row, 1), np.full(len(starts), kind, np.int32)))
+        return out
 
     def flush(parts: list[tuple[np.ndarray, ...]]) -> pa.RecordBatch:
-        h, doc, place = (np.concatenate(x) for x in zip(*parts))
-        h, doc, place, sure = _settle(h, doc, place, level == length)
-        return pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), pa.array(doc), pa.array(place), pa.array(sure)], ["h", "doc", "place", "sure"])
+        return _settle(step, *(np.concatenate(x) for x in zip(*parts)))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         parts, held = [], 0
         for batch in batches:
             ids = batch.column(id_at).to_numpy(zero_copy_only=False)
-            lists = batch.column(marks_at) if marks_at is not None else None
             for i, j, data, offsets in K.byte_chunks(batch.column(text_at)):
-                chunk = _Chunk(data, offsets)
-                marks = None
-                if lists is not None:
-                    own = lists.slice(i, j - i)
-                    counts = np.asarray(own.value_lengths().fill_null(0))
-                    marks = chunk.given(own.flatten().to_numpy(zero_copy_only=False).astype(np.int64), np.repeat(np.arange(j - i), counts))
-                h, place, row = _level(chunk, length, level, marks, marked_level)
-                if len(h):
-                    parts.append((h, ids[i + row].astype(np.int64), place))
-                    held += len(h)
+                for h, run_hash, row, place, kind in of_chunk(_Chunk(data, offsets, length), batch, i, j):
+                    if len(h):
+                        parts.append((h, run_hash, ids[i + row].astype(np.int64), place, kind))
+                        held += len(h)
                 if held > rows_at_once:
                     yield flush(parts)
                     parts, held = [], 0
@@ -159,38 +211,43 @@ def _emit(length: int, level: int, marked_level: int, id_at: int, text_at: int,
     return run
 
 
-def _decide(rows: DataFrame, last: bool) -> DataFrame:
-    """(doc, places): for each document the places that stay candidates, or at the last level are removed."""
-    by = Window.partitionBy("h")
-    rows = rows.withColumn("least", F.min("doc").over(by))
-    if last:
-        rows = rows.where("sure OR doc > least")
-    else:
-        rows = rows.withColumn("most", F.max("doc").over(by)).withColumn("lone", F.max(F.col("place") < 0).over(by))
-        # A row of evidence tells that its task has two documents with the window.
-        rows = rows.where("place >= 0 AND (sure OR lone OR least < most)")
-    return rows.groupBy("doc").agg(F.collect_list("place").alias("places"))
-
-
 def removed_places(docs: DataFrame, length: int) -> DataFrame:
-    """(doc, places): starts of the windows that a document with a smaller doc_id has too."""
+    """The rows of ``docs`` with two lists of packed starts and counts: ``done`` and ``places`` (null if empty), of windows that a document with a smaller doc_id has too.
+
+    The steps are one plan.  Documents are dealt out by id once, and so are the
+    lists of the second step: all columns pass through every use of them, so
+    that Spark finds the exchanges equal and keeps one.
+    """
     if length < FIRST_LEVEL:
         raise ValueError(f"windows have {FIRST_LEVEL} words at least")
-    named = docs.where("doc_id IS NOT NULL")
-    names = named.columns
+    names = docs.columns
     id_at, text_at = names.index("doc_id"), names.index("text")
-    level, before, places = min(FIRST_LEVEL, length), 0, None
-    while True:
-        if places is None:
-            source, marks_at = named.select("doc_id", "text"), None
-            run = _emit(length, level, before, 0, 1, None)
-        else:
-            source = named.join(places, named["doc_id"] == places["doc"]).select(*[named[c] for c in names], "places")
-            run = _emit(length, level, before, id_at, text_at, len(names))
-        places = _decide(source.mapInArrow(run, _PLACES), level == length)
-        if level == length:
-            return places
-        before, level = level, min(2 * level, length)
+    lists_of = ("open", "evidence", "done", "places")
+    # Inner joins leave out null ids by themselves; the outer one has to look the same.
+    unnamed = docs.where("doc_id IS NULL").select("*", *[F.array().cast("array<long>").alias(x) for x in lists_of])
+    docs = docs.where("doc_id IS NOT NULL")
+    own = [docs[c] for c in names]
+
+    by = Window.partitionBy("h")
+    grams = docs.select("doc_id", "text").mapInArrow(_emit(1, length, 0, 1, 2), _ROWS).select("h", "doc", "place", "kind")
+    grams = grams.withColumn("least", F.min("doc").over(by)).withColumn("most", F.max("doc").over(by)).withColumn("told", F.max((F.col("kind") == _EVIDENCE).cast("int")).over(by))
+    grams = grams.where(f"kind <> {_EVIDENCE} AND (kind = {_SURE} OR told = 1 OR least < most)")
+    marks = grams.groupBy("doc").agg(F.collect_list("place").alias("marks"))
+
+    runs = docs.join(marks, docs["doc_id"] == marks["doc"]).select(*own, "marks").mapInArrow(_emit(2, length, id_at, text_at, len(names)), _ROWS)
+    # The window over h comes first, so that its exchange does for the others.
+    runs = runs.withColumn("least", F.min("doc").over(by)).withColumn("run_least", F.min("doc").over(Window.partitionBy("h", "run"))).withColumn("most", F.max("run_least").over(by))
+    done = (F.col("kind") == _SURE) | (F.col("doc") > F.col("run_least"))
+    state = F.when(done, "done").when(F.col("doc") > F.col("least"), "open").when(F.col("most") > F.col("least"), "evidence")
+    runs = runs.select("doc", "place", state.alias("state")).where("state IS NOT NULL")
+    lists = runs.groupBy("doc").agg(*[F.collect_list(F.when(F.col("state") == x, F.col("place"))).alias(x) for x in ("open", "evidence", "done")])
+
+    told = docs.join(lists, docs["doc_id"] == lists["doc"]).select(*own, "open", "evidence", "done")
+    windows = told.mapInArrow(_emit(3, length, id_at, text_at, len(names)), _ROWS).select("h", "doc", "place", "kind")
+    windows = windows.withColumn("least", F.min("doc").over(by)).where(f"kind = {_SURE} OR (kind = {_NORMAL} AND doc > least)")
+    places = windows.groupBy("doc").agg(F.collect_list("place").alias("places")).withColumnRenamed("doc", "doc_w")
+    out = docs.join(lists, docs["doc_id"] == lists["doc"], "left").join(places, docs["doc_id"] == F.col("doc_w"), "left")
+    return out.select(*own, *lists_of).unionByName(unnamed)
 
 
 def substring_dedup(docs: DataFrame, length: int = 13) -> DataFrame:
@@ -203,43 +260,37 @@ def substring_dedup(docs: DataFrame, length: int = 13) -> DataFrame:
     empty text; a row with a null doc_id is neither evidence nor changed but for
     the spaces between words.  Texts with the same doc_id are one document:
     they don't remove each other's windows.  Other columns are passed on;
-    columns of the input named n_words, n_removed or places are replaced.
+    columns of the input with the names of the results or of the lists in between go.
     """
-    docs = docs.drop("n_words", "n_removed", "places").withColumn("text", text_column(docs)).withColumn("doc_id", F.col("doc_id").cast("long"))
-    places = removed_places(docs, length)
+    docs = typed(docs.drop("n_words", "n_removed", "places", "open", "evidence", "done", "marks", "doc", "doc_w"))
     names = docs.columns
     text_at = names.index("text")
-    joined = docs.join(places, docs["doc_id"] == places["doc"], "left").select(*[docs[c] for c in names], "places")
+    joined = removed_places(docs, length)
+    done_at, places_at = len(names) + 2, len(names) + 3
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            lists = batch.column(len(names))
             for i, j, data, offsets in K.byte_chunks(batch.column(text_at)):
-                chunk = _Chunk(data, offsets)
-                own = lists.slice(i, j - i)
-                counts = np.asarray(own.value_lengths().fill_null(0))
-                at = chunk.given(own.flatten().to_numpy(zero_copy_only=False).astype(np.int64), np.repeat(np.arange(j - i), counts))
+                chunk = _Chunk(data, offsets, length)
                 edge = np.zeros(len(chunk.words) + 1, np.int64)
-                np.add.at(edge, at, 1)
-                np.add.at(edge, at + length, -1)
+                for column in (done_at, places_at):
+                    at, many, _ = chunk.given(*list_column(batch.column(column), i, j))
+                    np.add.at(edge, at, 1)
+                    np.add.at(edge, at + many - 1 + length, -1)
                 gone = np.cumsum(edge[:-1]) > 0
-                before = np.concatenate([[0], np.cumsum(gone)])
-                n_words = np.diff(chunk.first)
-                n_removed = before[chunk.first[1:]] - before[chunk.first[:-1]]
+                n_removed = np.diff(np.concatenate([[0], np.cumsum(gone)])[chunk.first])
                 kept = np.flatnonzero(~gone)
                 size = chunk.ends[kept] - chunk.starts[kept] + 1
-                out = K.take_spans(np.append(data, np.uint8(32)), chunk.starts[kept], chunk.ends[kept] + 1).copy()
+                out = K.take_spans(np.append(data, np.uint8(32)), chunk.starts[kept], chunk.ends[kept] + 1)
                 stop = np.cumsum(size)
                 out[stop - 1] = 32
-                kept_first = np.searchsorted(kept, chunk.first)
-                bound = np.concatenate([[0], stop])[kept_first]
-                lengths = np.maximum(np.diff(bound) - 1, 0)
-                whole = np.delete(out, bound[1:][np.diff(bound) > 0] - 1)
-                ends = np.concatenate([[0], np.cumsum(lengths)])
-                texts = pa.Array.from_buffers(pa.string(), j - i, [None, pa.py_buffer(ends.astype(np.int32).tobytes()), pa.py_buffer(whole.tobytes())])
+                bound = np.concatenate([[0], stop])[np.searchsorted(kept, chunk.first)]
+                filled = np.diff(bound) > 0
+                whole = np.delete(out, bound[1:][filled] - 1)
+                ends = np.concatenate([[0], np.cumsum(np.diff(bound) - filled)])
                 cols = list(batch.slice(i, j - i).columns[: len(names)])
-                cols[text_at] = texts
-                yield pa.RecordBatch.from_arrays([*cols, pa.array(n_words), pa.array(n_removed)], [*names, "n_words", "n_removed"])
+                cols[text_at] = pa.Array.from_buffers(pa.string(), j - i, [None, pa.py_buffer(ends.astype(np.int32).tobytes()), pa.py_buffer(whole.tobytes())])
+                yield pa.RecordBatch.from_arrays([*cols, pa.array(np.diff(chunk.first)), pa.array(n_removed)], [*names, "n_words", "n_removed"])
 
     return joined.mapInArrow(run, with_fields(docs.schema, "n_words long, n_removed long"))
 

@@ -30,13 +30,13 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import kernels as K
-from .common import text_column
-from .substring_dedup import _least_positions
+from .common import typed
+from .substring_dedup import MANY, START, TAG, least_positions, list_column, runs_of
 
-#: A place packs 16 bits that tell texts of one id apart, a start, and how many strings start from it on.
-_TAG, _START, _MANY = 40, 8, (1 << 8) - 1
 _NORMAL, _EVIDENCE, _SURE = 0, 1, 2
-_ROWS = "h long, doc long, place long, kind int, gram long"
+_ROWS = "h long, run long, doc long, place long, kind int"
+#: The first step only filters, so 48 bits of its identifiers do.
+_FILTER_BITS = np.uint64(16)
 
 
 def _refined(near: np.ndarray, far: np.ndarray) -> np.ndarray:
@@ -60,21 +60,8 @@ class _Chunk:
         sizes = np.maximum(np.diff(offsets) - length + 1, 0)
         starts = K.ranges(offsets[:-1], sizes)
         row = np.repeat(np.arange(len(sizes)), sizes)
-        stands = _least_positions(self.gram, length - q + 1)[starts] if len(starts) else starts
-        first = np.ones(len(starts), bool)
-        first[1:] = (stands[1:] != stands[:-1]) | (row[1:] != row[:-1])
-        begin = np.flatnonzero(first)
-        self.run_start, self.run_row, self.run_gram = starts[begin], row[begin], stands[begin]
-        self.run_size = np.diff(np.append(begin, len(starts)))
-        # The count of a run has 8 bits.
-        big = self.run_size > _MANY
-        if big.any():
-            parts = -(-self.run_size // _MANY)
-            step = K.ranges(np.zeros(len(parts), np.int64), parts)
-            size = np.repeat(self.run_size, parts)
-            self.run_start = np.repeat(self.run_start, parts) + step * _MANY
-            self.run_row, self.run_gram = np.repeat(self.run_row, parts), np.repeat(self.run_gram, parts)
-            self.run_size = np.minimum(size - step * _MANY, _MANY)
+        stands = least_positions(self.gram, length - q + 1)[starts] if len(starts) else starts
+        self.run_start, self.run_row, self.run_gram, self.run_size = runs_of(stands, starts, row)
 
     def string_ids(self, starts: np.ndarray) -> np.ndarray:
         """Identifiers of ``length`` bytes, refined from those of half the length."""
@@ -90,21 +77,21 @@ class _Chunk:
         return _refined(K.span_hash(self._prefix, a, b), (self.run_gram[runs] - a).astype(np.uint64))
 
     def places(self, starts: np.ndarray, rows: np.ndarray, many: np.ndarray) -> np.ndarray:
-        return self.tag[rows] << _TAG | (starts - self.offsets[rows]) << _START | many
+        return self.tag[rows] << TAG | (starts - self.offsets[rows]) << START | many
 
     def given(self, places: np.ndarray, rows: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """Starts, counts and which of the places are of this text."""
-        own = places >> _TAG == self.tag[rows]
+        own = places >> TAG == self.tag[rows]
         places, rows = places[own], rows[own]
-        return self.offsets[rows] + (places >> _START & 0xFFFFFFFF), places & _MANY, own
+        return self.offsets[rows] + (places >> START & 0xFFFFFFFF), places & MANY, own
 
 
-def _settle(h, doc, place, kind, gram) -> pa.RecordBatch:
-    """Of identifiers that a task has twice, its rows are sure, and one row of evidence goes on; the others go on as they are."""
-    order = np.argsort(h, kind="stable")
-    h, doc, place, kind, gram = (x[order] for x in (h, doc, place, kind, gram))
+def _settle(h: np.ndarray, run: np.ndarray, doc: np.ndarray, place: np.ndarray, kind: np.ndarray) -> pa.RecordBatch:
+    """Of (h, run) that a task has twice, its rows are sure, and one row of evidence goes on; the others go on as they are."""
+    order = np.lexsort((run, h))
+    h, run, doc, place, kind = (x[order] for x in (h, run, doc, place, kind))
     first = np.ones(len(h), bool)
-    first[1:] = h[1:] != h[:-1]
+    first[1:] = (h[1:] != h[:-1]) | (run[1:] != run[:-1])
     begin = np.flatnonzero(first)
     size = np.diff(np.append(begin, len(h)))
     twice = np.repeat(size > 1, size)
@@ -115,17 +102,11 @@ def _settle(h, doc, place, kind, gram) -> pa.RecordBatch:
     at = np.concatenate([told, alone, lone])
     key = np.concatenate([scattered, h[alone], h[lone]])
     kinds = np.concatenate([np.full(len(told), _SURE), kind[alone], np.full(len(lone), _EVIDENCE)]).astype(np.int32)
-    return pa.RecordBatch.from_arrays([pa.array(key.view(np.int64)), pa.array(doc[at]), pa.array(place[at]), pa.array(kinds), pa.array(gram[at].view(np.int64))], ["h", "doc", "place", "kind", "gram"])
-
-
-def _lists(column: pa.Array, i: int, j: int) -> tuple[np.ndarray, np.ndarray]:
-    own = column.slice(i, j - i)
-    counts = np.asarray(own.value_lengths().fill_null(0))
-    return own.flatten().to_numpy(zero_copy_only=False).astype(np.int64), np.repeat(np.arange(j - i), counts)
+    return pa.RecordBatch.from_arrays([pa.array(key.view(np.int64)), pa.array(run[at].view(np.int64)), pa.array(doc[at]), pa.array(place[at]), pa.array(kinds)], ["h", "run", "doc", "place", "kind"])
 
 
 def _emit(step: int, length: int):
-    """Rows of the steps: 1 q-grams of (doc_id, text), 2 runs of (doc_id, text, grams), 3 strings of (doc_id, text, open, evidence)."""
+    """Rows of the steps: 1 q-grams of (doc_id, text), 2 runs of (doc_id, text, grams), h being the q-gram, 3 strings of (doc_id, text, open, evidence, done)."""
     rows_at_once = 3_000_000
 
     def of_chunk(chunk: _Chunk, batch: pa.RecordBatch, i: int, j: int) -> list[tuple[np.ndarray, ...]]:
@@ -135,21 +116,21 @@ def _emit(step: int, length: int):
             runs = np.flatnonzero(every)
             rows, at = chunk.run_row[runs], chunk.run_gram[runs]
             # Two rows can't share a q-gram's position, so neighbours differ unless they are one run.
-            return [(chunk.gram[at], rows, chunk.places(at, rows, np.zeros(len(at), np.int64)), np.zeros(len(at), np.int32), chunk.gram[at])]
-        places, rows = _lists(batch.column(2), i, j)
+            return [(chunk.gram[at] >> _FILTER_BITS, np.zeros(len(at), np.uint64), rows, chunk.places(at, rows, np.zeros(len(at), np.int64)), np.zeros(len(at), np.int32))]
+        places, rows = list_column(batch.column(2), i, j)
         if step == 2:
             at, _, _ = chunk.given(places, rows)
             seen = np.zeros(len(chunk.data), bool)
             seen[at] = True
             runs = np.flatnonzero(seen[chunk.run_gram]) if len(chunk.run_gram) else np.zeros(0, np.int64)
             rows = chunk.run_row[runs]
-            return [(chunk.run_ids(runs), rows, chunk.places(chunk.run_start[runs], rows, chunk.run_size[runs]), np.zeros(len(runs), np.int32), chunk.gram[chunk.run_gram[runs]])]
+            return [(chunk.gram[chunk.run_gram[runs]], chunk.run_ids(runs), rows, chunk.places(chunk.run_start[runs], rows, chunk.run_size[runs]), np.zeros(len(runs), np.int32))]
         out = []
         for column, kind in ((2, _NORMAL), (3, _EVIDENCE)):
-            places, rows = _lists(batch.column(column), i, j)
+            places, rows = list_column(batch.column(column), i, j)
             at, many, own = chunk.given(places, rows)
             starts, rows = K.ranges(at, many), np.repeat(rows[own], many)
-            out.append((chunk.string_ids(starts), rows, chunk.places(starts, rows, np.ones(len(starts), np.int64)), np.full(len(starts), kind, np.int32), np.zeros(len(starts), np.uint64)))
+            out.append((chunk.string_ids(starts), np.zeros(len(starts), np.uint64), rows, chunk.places(starts, rows, np.ones(len(starts), np.int64)), np.full(len(starts), kind, np.int32)))
         return out
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -157,9 +138,9 @@ def _emit(step: int, length: int):
         for batch in batches:
             ids = batch.column(0).to_numpy(zero_copy_only=False)
             for i, j, data, offsets in K.byte_chunks(batch.column(1)):
-                for h, rows, place, kind, gram in of_chunk(_Chunk(data, offsets, length), batch, i, j):
+                for h, run_id, rows, place, kind in of_chunk(_Chunk(data, offsets, length), batch, i, j):
                     if len(h):
-                        parts.append((h, ids[i + rows].astype(np.int64), place, kind, gram))
+                        parts.append((h, run_id, ids[i + rows].astype(np.int64), place, kind))
                         held += len(h)
                 if held > rows_at_once:
                     yield _settle(*(np.concatenate(x) for x in zip(*parts)))
@@ -170,36 +151,41 @@ def _emit(step: int, length: int):
     return run
 
 
-def _judged(rows: DataFrame) -> DataFrame:
-    """The rows with ``company``: whether their bucket has another member."""
-    company = (F.col("kind") == _SURE) | (F.count(F.lit(1)).over(Window.partitionBy("h")) > 1)
-    return rows.withColumn("company", company)
+def _company(*by: str):
+    return (F.col("kind") == _SURE) | (F.count(F.lit(1)).over(Window.partitionBy(*by)) > 1)
 
 
 def removed_places(docs: DataFrame, length: int) -> DataFrame:
-    """(doc, places): the repeated strings of each document, as packed starts and counts.  ``docs`` has (doc_id, text) only."""
-    grams = _judged(docs.mapInArrow(_emit(1, length), _ROWS)).where(f"company AND kind <> {_EVIDENCE}")
-    grams = grams.groupBy("doc").agg(F.collect_list("place").alias("grams"))
-    source = docs.join(grams, docs["doc_id"] == grams["doc"]).select(docs["doc_id"], docs["text"], "grams")
-
-    runs = _judged(source.mapInArrow(_emit(2, length), _ROWS))
-    state = (
-        F.when(~F.col("company"), "open")
-        .when(F.col("kind") == _EVIDENCE, "evidence")
-        .when(F.col("kind") == _SURE, "done")
-        .otherwise("both")
-    )
-    runs = runs.select("doc", "place", "gram", state.alias("state"))
-    open_grams = runs.where("state = 'open'").select("gram").distinct()
-    evidence = runs.where("state IN ('evidence', 'both')").join(open_grams, "gram", "left_semi").select("doc", "place", F.lit(False).alias("ask"))
-    asked = runs.where("state = 'open'").select("doc", "place", F.lit(True).alias("ask"))
-    lists = asked.unionByName(evidence).groupBy("doc").agg(
-        F.collect_list(F.when(F.col("ask"), F.col("place"))).alias("open"), F.collect_list(F.when(~F.col("ask"), F.col("place"))).alias("evidence")
-    )
-    source = docs.join(lists, docs["doc_id"] == lists["doc"]).select(docs["doc_id"], docs["text"], "open", "evidence")
-    strings = _judged(source.mapInArrow(_emit(3, length), _ROWS)).where(f"company AND kind <> {_EVIDENCE}").select("doc", "place")
-    done = runs.where("state IN ('done', 'both')").select("doc", "place")
-    return done.unionByName(strings).groupBy("doc").agg(F.collect_list("place").alias("places"))
+    """The rows (doc_id, text) with lists of packed starts and counts: ``done`` and ``places`` (null if empty) of repeated strings.
+
+    One plan; texts and the second step's lists are dealt out by id once.
+    """
+    lists_of = ("open", "evidence", "done", "places")
+    # Inner joins leave out null ids by themselves; the outer one has to look the same.
+    unnamed = docs.where("doc_id IS NULL").select("*", *[F.array().cast("array<long>").alias(x) for x in lists_of])
+    docs = docs.where("doc_id IS NOT NULL")
+    own = [docs["doc_id"], docs["text"]]
+    grams = docs.mapInArrow(_emit(1, length), _ROWS).select("h", "doc", "place", "kind")
+    grams = grams.withColumn("company", _company("h")).where(f"company AND kind <> {_EVIDENCE}").groupBy("doc").agg(F.collect_list("place").alias("grams"))
+
+    runs = docs.join(grams, docs["doc_id"] == grams["doc"]).select(*own, "grams").mapInArrow(_emit(2, length), _ROWS)
+    by = Window.partitionBy("h")
+    # The window over h comes first, so that its exchange does for the others.
+    runs = runs.withColumn("alone", F.count(F.lit(1)).over(by) == 1).withColumn("company", _company("h", "run"))
+    ask = (F.col("kind") == _NORMAL) & ~F.col("company")
+    runs = runs.withColumn("ask", ask).withColumn("asked", F.max("ask").over(by))
+    is_open = F.col("ask") & ~F.col("alone")
+    evidence = F.col("asked") & ~F.col("ask") & (F.col("kind") != _SURE)
+    done = F.col("company") & (F.col("kind") != _EVIDENCE)
+    runs = runs.where(is_open | evidence | done)
+    lists = runs.groupBy("doc").agg(*[F.collect_list(F.when(c, F.col("place"))).alias(n) for c, n in ((is_open, "open"), (evidence, "evidence"), (done, "done"))])
+
+    told = docs.join(lists, docs["doc_id"] == lists["doc"]).select(*own, "open", "evidence", "done")
+    strings = told.mapInArrow(_emit(3, length), _ROWS).select("h", "doc", "place", "kind")
+    strings = strings.withColumn("company", _company("h")).where(f"company AND kind <> {_EVIDENCE}")
+    places = strings.groupBy("doc").agg(F.collect_list("place").alias("places")).withColumnRenamed("doc", "doc_s")
+    out = docs.join(lists, docs["doc_id"] == lists["doc"], "left").join(places, docs["doc_id"] == F.col("doc_s"), "left")
+    return out.select(*own, *lists_of).unionByName(unnamed)
 
 
 def suffix_dedup(docs: DataFrame, length: int = 200) -> DataFrame:
@@ -214,21 +200,21 @@ def suffix_dedup(docs: DataFrame, length: int = 200) -> DataFrame:
     """
     if length < 8:
         raise ValueError("strings have 8 bytes at least")
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_column(docs).alias("text"))
-    places = removed_places(texts.where("doc_id IS NOT NULL"), length)
-    joined = texts.join(places, texts["doc_id"] == places["doc"], "left").select(texts["doc_id"], texts["text"], "places")
+    texts = typed(docs.select("doc_id", "text"))
+    joined = removed_places(texts, length)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for i, j, data, offsets in K.byte_chunks(batch.column(1)):
                 whole = K.span_hash(K.prefix_hash(data), offsets[:-1], offsets[1:])
-                places, rows = _lists(batch.column(2), i, j)
-                own = places >> _TAG == (whole & np.uint64(0xFFFF)).astype(np.int64)[rows]
-                places, rows = places[own], rows[own]
-                at, many = offsets[rows] + (places >> _START & 0xFFFFFFFF), places & _MANY
                 edge = np.zeros(len(data) + 1, np.int32)
-                np.add.at(edge, at, 1)
-                np.add.at(edge, at + many - 1 + length, -1)
+                for column in (4, 5):
+                    places, rows = list_column(batch.column(column), i, j)
+                    own = places >> TAG == (whole & np.uint64(0xFFFF)).astype(np.int64)[rows]
+                    places, rows = places[own], rows[own]
+                    at, many = offsets[rows] + (places >> START & 0xFFFFFFFF), places & MANY
+                    np.add.at(edge, at, 1)
+                    np.add.at(edge, at + many - 1 + length, -1)
                 gone = np.cumsum(edge[:-1]) > 0
                 begins = gone.copy()
                 begins[1:] &= ~gone[:-1]
