@@ -88,6 +88,8 @@ def one_trial(csr: Csr, k: int, bound: int, seed: int, cfg: PartitionConfig) ->
     block = kernels.fm(csr, block, np.full(k, bound), rng, 2)
     if cfg.flow:
         block = kernels.flow_all_pairs(csr, block, bound)
+    if np.bincount(block, csr.vw, k).max(initial=0) <= bound:
+        block = kernels.swap_polish(csr, block, k, bound)
     load = np.bincount(block, csr.vw, k)
     return int(np.maximum(load - bound, 0).sum()), csr.cut(block), block
 
