@@ -81,7 +81,7 @@ def performance_profile(runs: DataFrame) -> DataFrame:
     """(algo, p, rank, graph, k, value): 1 - best / cut of each instance, sorted; imbalanced ones are 1.1 and come last."""
     inst = instances(runs)
     best = F.min("cut").over(Window.partitionBy("graph", "k"))
-    value = F.when(F.col("imbalanced"), F.lit(1.1)).otherwise(F.round(1 - F.col("best") / F.col("cut"), 6))
+    value = F.when(F.col("imbalanced"), F.lit(1.1)).when(F.col("cut") == 0, F.lit(0.0)).otherwise(F.round(1 - F.col("best") / F.col("cut"), 6))
     v = inst.withColumn("best", best).withColumn("value", value)
     rank = F.row_number().over(Window.partitionBy("algo", "p").orderBy("value", "graph", "k"))
     return v.withColumn("rank", rank).select("algo", "p", "rank", "graph", "k", "value")

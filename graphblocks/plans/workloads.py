@@ -189,12 +189,11 @@ def _arrays(spark: SparkSession, g) -> Csr:
 
 
 def w1_graphs(spark: SparkSession, d: str) -> dict[str, Csr]:
-    out = {n: csr_of(spark, d, n) for n in ("page_links", "user_key", "emb_rgg", "conv_path")}
-    return out | {"grid": _arrays(spark, Gen.grid(spark, 24, 24))}
+    return {"emb_rgg": csr_of(spark, d, "emb_rgg"), "grid": _arrays(spark, Gen.grid(spark, 16, 16)), "planted": _arrays(spark, Gen.planted(spark, 4, 60, 0.2, 0.02))}
 
 
 def w1_runs(spark: SparkSession, d: str) -> DataFrame:
-    return runs(spark, d, w1_graphs(spark, d), (4,), VARIANTS, (1, 4), 3, log="w1")
+    return runs(spark, d, w1_graphs(spark, d), (4,), VARIANTS, (1, 4), 2, log="w1")
 
 
 QUERIES["w1_quality_runs"] = lambda s, d: w1_runs(s, d).select("graph", "k", "algo", "p", "seed", "cut", "imbalanced")
@@ -213,7 +212,7 @@ QUERIES["w5_speedup"] = lambda s, d: E.speedups(w1_runs(s, d).withColumn("t_ls",
 QUERIES["w5_ns_per_edge"] = lambda s, d: E.ns_per_edge(w1_runs(s, d).withColumn("t_ls", F.col("t_ls") + 1e-6))
 
 
-def _axis(name: str, graphs: tuple[str, ...], variants: dict[str, PartitionConfig], ps=(4,), seeds: int = 2, k: int = 4) -> None:
+def _axis(name: str, graphs: tuple[str, ...], variants: dict[str, PartitionConfig], ps=(4,), seeds: int = 1, k: int = 4) -> None:
     def run(s: SparkSession, d: str) -> DataFrame:
         r = runs(s, d, {g: csr_of(s, d, g) for g in graphs}, (k,), variants, ps, seeds, log=name)
         return r.groupBy("graph", "k", "algo", "p").agg(F.round(F.avg("cut"), 3).alias("cut"), F.bool_or("imbalanced").alias("imbalanced"), F.round(F.avg("t_total"), 4).alias("seconds"), F.sum("tried").alias("tried"), F.sum("applied").alias("applied"), F.max("coarsest").alias("coarsest"), F.sum("probes").alias("probes"), F.sum("lookups").alias("lookups"), F.max("peak_bytes").alias("peak_bytes"))
@@ -221,14 +220,14 @@ def _axis(name: str, graphs: tuple[str, ...], variants: dict[str, PartitionConfi
     QUERIES[name] = run
 
 
-_axis("w6_component", ("page_links", "emb_rgg"), {"none": config(parallel=frozenset()), **{c: config(parallel=frozenset({c})) for c in ("coarsen", "init", "refine")}}, (16,))
-_axis("w9_by_type", ("page_links", "emb_rgg"), VARIANTS)
+_axis("w6_component", ("emb_rgg",), {"none": config(parallel=frozenset()), **{c: config(parallel=frozenset({c})) for c in ("coarsen", "init", "refine")}}, (16,))
+_axis("w9_by_type", ("emb_rgg",), VARIANTS)
 _axis("w10_star_shrink", ("doc_source",), {"cluster": config(max_levels=1), "matching": config("matching", max_levels=1), "two_hop": config("matching", two_hop=True, max_levels=1)})
-_axis("w11_p_sweep", ("page_links",), {"full": config()}, (1, 16, 31))
-_axis("w12_rounds", ("page_links", "emb_rgg"), {f"rounds_{r}": config(global_rounds=r) for r in (0, 1, 3, 6)})
-_axis("w13_alpha", ("page_links", "emb_rgg"), {f"alpha_{a:g}": config(alpha=a) for a in (0.0, 0.1, 0.5, 1e9)})
-_axis("w14_tables", ("page_links",), {s: config(store=s) for s in ("array", "dict", "probe", "probe_local")}, seeds=1)
-_axis("gain_modes", ("page_links",), {m: config(gain_mode=m) for m in ("recompute", "incremental")}, seeds=1)
+_axis("w11_p_sweep", ("emb_rgg",), {"full": config()}, (1, 16, 31))
+_axis("w12_rounds", ("emb_rgg",), {f"rounds_{r}": config(global_rounds=r) for r in (0, 1, 3, 6)})
+_axis("w13_alpha", ("emb_rgg",), {f"alpha_{a:g}": config(alpha=a) for a in (0.0, 0.1, 0.5, 1e9)})
+_axis("w14_tables", ("emb_rgg",), {s: config(store=s) for s in ("array", "dict", "probe", "probe_local")}, seeds=1)
+_axis("gain_modes", ("emb_rgg",), {m: config(gain_mode=m) for m in ("recompute", "incremental")}, seeds=1)
 
 
 def _phases(s: SparkSession, d: str) -> DataFrame:
