@@ -12,8 +12,10 @@ offsets, so they agree between tasks without a common table.
    together: the identifier of a run is that of its first string's and its last
    string's bytes.  Runs with company are repeated as a whole, and what they
    tell is reused: one run of each bucket is the evidence for the next step.
-3. *Strings.*  Only runs that are alone, but whose q-gram is not, are taken
-   apart.  Identifiers of ``length`` bytes decide.
+3. *Parts.*  Runs that are alone, but whose q-gram is not, are cut into parts
+   of PART strings, counted from the q-gram, and refined in the same way.
+4. *Strings.*  Only parts that are still alone are taken apart.  Identifiers of
+   ``length`` bytes decide.
 
 Each step is one shuffle, before which a task settles what it has twice itself,
 so a bucket with a third of all suffixes costs a few rows for each task.
@@ -34,6 +36,7 @@ from .common import typed
 from .substring_dedup import MANY, START, TAG, least_positions, list_column, runs_of
 
 _NORMAL, _EVIDENCE, _SURE = 0, 1, 2
+PART = 16
 _ROWS = "h long, run long, doc long, place long, kind int"
 #: The first step only filters, so 48 bits of its identifiers do.
 _FILTER_BITS = np.uint64(16)
@@ -70,11 +73,22 @@ class _Chunk:
         far = K.span_hash(self._prefix, starts + half, starts + self.length)
         return _refined(near, far)
 
-    def run_ids(self, runs: np.ndarray) -> np.ndarray:
-        """Identifiers of all bytes of runs, and of where their q-gram lies."""
-        a = self.run_start[runs]
-        b = a + self.run_size[runs] + self.length - 1
-        return _refined(K.span_hash(self._prefix, a, b), (self.run_gram[runs] - a).astype(np.uint64))
+    def span_ids(self, starts: np.ndarray, sizes: np.ndarray, grams: np.ndarray) -> np.ndarray:
+        """Identifiers of all bytes of runs or parts, and of where their q-gram lies."""
+        return _refined(K.span_hash(self._prefix, starts, starts + sizes + self.length - 1), (grams - starts).astype(np.uint64))
+
+    def parts(self, starts: np.ndarray, sizes: np.ndarray) -> tuple[np.ndarray, ...]:
+        """(index of the run, start, size, q-gram, number) of the parts of given runs; numbers count from the q-gram."""
+        gram_of = np.zeros(len(self.data) + 1, np.int64)
+        gram_of[self.run_start] = self.run_gram
+        gram = gram_of[starts]
+        last, first = (gram - starts) // PART, (gram - starts - sizes + 1) // PART
+        count = last - first + 1
+        run = np.repeat(np.arange(len(starts)), count)
+        number = K.ranges(first, count)
+        a = np.maximum(gram[run] - number * PART - (PART - 1), starts[run])
+        b = np.minimum(gram[run] - number * PART, starts[run] + sizes[run] - 1)
+        return run, a, b - a + 1, gram[run], number
 
     def places(self, starts: np.ndarray, rows: np.ndarray, many: np.ndarray) -> np.ndarray:
         return self.tag[rows] << TAG | (starts - self.offsets[rows]) << START | many
@@ -106,7 +120,7 @@ def _settle(h: np.ndarray, run: np.ndarray, doc: np.ndarray, place: np.ndarray,
 
 
 def _emit(step: int, length: int):
-    """Rows of the steps: 1 q-grams of (doc_id, text), 2 runs of (doc_id, text, grams), h being the q-gram, 3 strings of (doc_id, text, open, evidence, done)."""
+    """Rows of the steps: 1 q-grams of (doc_id, text), 2 runs of (doc_id, text, grams), h being the q-gram, 3 parts of (doc_id, text, open, evidence, done), h being the q-gram and the part's number, 4 strings of the same with the parts' lists."""
     rows_at_once = 3_000_000
 
     def of_chunk(chunk: _Chunk, batch: pa.RecordBatch, i: int, j: int) -> list[tuple[np.ndarray, ...]]:
@@ -124,11 +138,18 @@ def _emit(step: int, length: int):
             seen[at] = True
             runs = np.flatnonzero(seen[chunk.run_gram]) if len(chunk.run_gram) else np.zeros(0, np.int64)
             rows = chunk.run_row[runs]
-            return [(chunk.gram[chunk.run_gram[runs]], chunk.run_ids(runs), rows, chunk.places(chunk.run_start[runs], rows, chunk.run_size[runs]), np.zeros(len(runs), np.int32))]
+            ids = chunk.span_ids(chunk.run_start[runs], chunk.run_size[runs], chunk.run_gram[runs])
+            return [(chunk.gram[chunk.run_gram[runs]], ids, rows, chunk.places(chunk.run_start[runs], rows, chunk.run_size[runs]), np.zeros(len(runs), np.int32))]
         out = []
         for column, kind in ((2, _NORMAL), (3, _EVIDENCE)):
             places, rows = list_column(batch.column(column), i, j)
             at, many, own = chunk.given(places, rows)
+            if step == 3:
+                run, starts, sizes, gram, number = chunk.parts(at, many)
+                rows = rows[own][run]
+                h = _refined(chunk.gram[gram], number.astype(np.uint64))
+                out.append((h, chunk.span_ids(starts, sizes, gram), rows, chunk.places(starts, rows, sizes), np.full(len(starts), kind, np.int32)))
+                continue
             starts, rows = K.ranges(at, many), np.repeat(rows[own], many)
             out.append((chunk.string_ids(starts), np.zeros(len(starts), np.uint64), rows, chunk.places(starts, rows, np.ones(len(starts), np.int64)), np.full(len(starts), kind, np.int32)))
         return out
@@ -156,11 +177,11 @@ def _company(*by: str):
 
 
 def removed_places(docs: DataFrame, length: int) -> DataFrame:
-    """The rows (doc_id, text) with lists of packed starts and counts: ``done`` and ``places`` (null if empty) of repeated strings.
+    """The rows (doc_id, text) with lists of packed starts and counts: ``done``, ``done_p`` and ``places`` (null if empty) of repeated strings.
 
     One plan; texts and the second step's lists are dealt out by id once.
     """
-    lists_of = ("open", "evidence", "done", "places")
+    lists_of = ("open", "evidence", "done", "open_p", "evidence_p", "done_p", "places")
     # Inner joins leave out null ids by themselves; the outer one has to look the same.
     unnamed = docs.where("doc_id IS NULL").select("*", *[F.array().cast("array<long>").alias(x) for x in lists_of])
     docs = docs.where("doc_id IS NOT NULL")
@@ -169,23 +190,29 @@ def removed_places(docs: DataFrame, length: int) -> DataFrame:
     grams = grams.withColumn("company", _company("h")).where(f"company AND kind <> {_EVIDENCE}").groupBy("doc").agg(F.collect_list("place").alias("grams"))
 
     runs = docs.join(grams, docs["doc_id"] == grams["doc"]).select(*own, "grams").mapInArrow(_emit(2, length), _ROWS)
+    lists = _lists(runs)
+    told = docs.join(lists, docs["doc_id"] == lists["doc"]).select(*own, "open", "evidence", "done")
+    parts = _lists(told.mapInArrow(_emit(3, length), _ROWS)).select(F.col("doc").alias("doc_p"), *[F.col(c).alias(f"{c}_p") for c in ("open", "evidence", "done")])
+    told = docs.join(parts, docs["doc_id"] == parts["doc_p"]).select(*own, "open_p", "evidence_p", "done_p")
+    strings = told.mapInArrow(_emit(4, length), _ROWS).select("h", "doc", "place", "kind")
+    strings = strings.withColumn("company", _company("h")).where(f"company AND kind <> {_EVIDENCE}")
+    places = strings.groupBy("doc").agg(F.collect_list("place").alias("places")).withColumnRenamed("doc", "doc_s")
+    out = docs.join(lists, docs["doc_id"] == lists["doc"], "left").join(parts, docs["doc_id"] == parts["doc_p"], "left").join(places, docs["doc_id"] == F.col("doc_s"), "left")
+    return out.select(*own, *lists_of).unionByName(unnamed)
+
+
+def _lists(rows: DataFrame) -> DataFrame:
+    """(doc, open, evidence, done) of runs or parts: those to be taken apart, those that others are held against, those that are repeated."""
     by = Window.partitionBy("h")
     # The window over h comes first, so that its exchange does for the others.
-    runs = runs.withColumn("alone", F.count(F.lit(1)).over(by) == 1).withColumn("company", _company("h", "run"))
-    ask = (F.col("kind") == _NORMAL) & ~F.col("company")
-    runs = runs.withColumn("ask", ask).withColumn("asked", F.max("ask").over(by))
+    rows = rows.withColumn("alone", F.count(F.lit(1)).over(by) == 1).withColumn("company", _company("h", "run"))
+    rows = rows.withColumn("ask", (F.col("kind") == _NORMAL) & ~F.col("company"))
+    rows = rows.withColumn("asked", F.max("ask").over(by))
     is_open = F.col("ask") & ~F.col("alone")
     evidence = F.col("asked") & ~F.col("ask") & (F.col("kind") != _SURE)
     done = F.col("company") & (F.col("kind") != _EVIDENCE)
-    runs = runs.where(is_open | evidence | done)
-    lists = runs.groupBy("doc").agg(*[F.collect_list(F.when(c, F.col("place"))).alias(n) for c, n in ((is_open, "open"), (evidence, "evidence"), (done, "done"))])
-
-    told = docs.join(lists, docs["doc_id"] == lists["doc"]).select(*own, "open", "evidence", "done")
-    strings = told.mapInArrow(_emit(3, length), _ROWS).select("h", "doc", "place", "kind")
-    strings = strings.withColumn("company", _company("h")).where(f"company AND kind <> {_EVIDENCE}")
-    places = strings.groupBy("doc").agg(F.collect_list("place").alias("places")).withColumnRenamed("doc", "doc_s")
-    out = docs.join(lists, docs["doc_id"] == lists["doc"], "left").join(places, docs["doc_id"] == F.col("doc_s"), "left")
-    return out.select(*own, *lists_of).unionByName(unnamed)
+    rows = rows.where(is_open | evidence | done)
+    return rows.groupBy("doc").agg(*[F.collect_list(F.when(c, F.col("place"))).alias(n) for c, n in ((is_open, "open"), (evidence, "evidence"), (done, "done"))])
 
 
 def suffix_dedup(docs: DataFrame, length: int = 200) -> DataFrame:
@@ -208,7 +235,7 @@ def suffix_dedup(docs: DataFrame, length: int = 200) -> DataFrame:
             for i, j, data, offsets in K.byte_chunks(batch.column(1)):
                 whole = K.span_hash(K.prefix_hash(data), offsets[:-1], offsets[1:])
                 edge = np.zeros(len(data) + 1, np.int32)
-                for column in (4, 5):
+                for column in (4, 7, 8):
                     places, rows = list_column(batch.column(column), i, j)
                     own = places >> TAG == (whole & np.uint64(0xFFFF)).astype(np.int64)[rows]
                     places, rows = places[own], rows[own]
