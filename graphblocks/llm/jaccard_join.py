@@ -10,10 +10,12 @@
 3. Within a key, every document is first compared with the key's leader, a
    linear number of pairs.  This settles families of near copies.
 4. What is left are pairs of different components that share a key.  The
-   shingles of a document, hashed into GROUPS groups and counted, are a point;
-   an R-tree over the points of a key bounds the overlap of two boxes by the
-   sum of coordinate minima and prunes all that can't reach the threshold.
-   Keys with many documents are dealt out as blocks of bounded size.
+   shingles of a document, hashed into groups and counted, are a point; an
+   R-tree over the points of a key bounds the overlap of two boxes by the sum of
+   coordinate minima and prunes all that can't reach the threshold.  Boxes have
+   GROUPS coordinates; pairs of points are compared on finer groups, of which
+   large sets have more.  Keys with many documents are dealt out as blocks of
+   bounded size.
 5. Pairs that survive are verified on whole sets.
 """
 
@@ -32,12 +34,16 @@ from .common import connected, stash, text_column
 SHINGLE = 5
 #: Links need 100 * intersection >= PERCENT * union.
 PERCENT = 75
-GROUPS = 128
-_WIDE = 65535
+GROUPS = 256
+#: Groups of the points: of sets up to LARGE shingles, and of larger ones.
+FINE, FINER, LARGE = 512, 8192, 2000
+_WIDE = 255
 #: Cells of the frequency sketch, and what a task's cell must exceed, in means, to be told.
 SKETCH_CELLS, SKETCH_TIMES = 1 << 20, 8
 #: Rows of a block in which points are compared; larger keys are dealt out.
 BLOCK_ROWS = 1024
+#: Up to this many documents are named to all tasks when their sets are fetched; more are joined.
+BROADCAST_ROWS = 500_000
 
 
 def shingle_sets(data: np.ndarray, offsets: np.ndarray, size: int = SHINGLE) -> tuple[np.ndarray, np.ndarray]:
@@ -73,12 +79,33 @@ def _digests(h: np.ndarray, bounds: np.ndarray) -> tuple[np.ndarray, np.ndarray]
     return out[0], out[1]
 
 
-def count_vectors(h: np.ndarray, bounds: np.ndarray) -> np.ndarray:
-    """(rows, GROUPS) counts of shingles by hash group; _WIDE stands for anything larger."""
-    n = len(bounds) - 1
-    row = np.repeat(np.arange(n), np.diff(bounds))
-    cell = row * GROUPS + (h >> np.uint64(20)).astype(np.int64) % GROUPS
-    return np.minimum(np.bincount(cell, minlength=n * GROUPS), _WIDE).astype(np.uint16).reshape(n, GROUPS)
+def count_vectors(h: np.ndarray, bounds: np.ndarray) -> list[bytes]:
+    """For each row a byte for each hash group, its count; _WIDE stands for that or more."""
+    out = []
+    for a, b in zip(bounds.tolist(), bounds[1:].tolist()):
+        groups = FINE if b - a <= LARGE else FINER
+        cell = (h[a:b] >> np.uint64(64 - groups.bit_length() + 1)).astype(np.int64)
+        out.append(np.minimum(np.bincount(cell, minlength=groups), _WIDE).astype(np.uint8).tobytes())
+    return out
+
+
+def _counts(vector: bytes) -> np.ndarray:
+    out = np.frombuffer(vector, np.uint8).astype(np.int64)
+    if out.max(initial=0) == _WIDE:
+        out[out == _WIDE] = 1 << 40
+    return out
+
+
+def _folded(vectors: np.ndarray, groups: int) -> np.ndarray:
+    """The counts of coarser groups."""
+    return vectors.reshape(*vectors.shape[:-1], groups, -1).sum(-1)
+
+
+def overlap_bound(a: bytes, b: bytes) -> int:
+    """The sum of coordinate minima, on the coarser of the two points' groups."""
+    x, y = _counts(a), _counts(b)
+    groups = min(len(x), len(y))
+    return int(np.minimum(_folded(x, groups), _folded(y, groups)).sum())
 
 
 def prefix_size(n: np.ndarray) -> np.ndarray:
@@ -86,12 +113,12 @@ def prefix_size(n: np.ndarray) -> np.ndarray:
     return np.where(n > 0, n - -(-n * PERCENT // 100) + 1, 0)
 
 
-_INFO = "doc long, n long, f1 long, f2 long, vec binary, cell long, cell_count long"
+_INFO = "doc long, n long, f1 long, f2 long, vec binary, box binary, cell long, cell_count long"
 
 
 def _info(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     sketch, total = np.zeros(SKETCH_CELLS, np.int64), 0
-    names = ["doc", "n", "f1", "f2", "vec", "cell", "cell_count"]
+    names = ["doc", "n", "f1", "f2", "vec", "box", "cell", "cell_count"]
     for batch in batches:
         for i, j, data, offsets in K.byte_chunks(batch.column(1)):
             h, bounds = shingle_sets(data, offsets)
@@ -99,12 +126,13 @@ def _info(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             vec = count_vectors(h, bounds)
             sketch += np.bincount((h >> np.uint64(44)).astype(np.int64), minlength=SKETCH_CELLS)
             total += len(h)
+            box = [np.minimum(_folded(_counts(v), GROUPS), _WIDE).astype(np.uint8).tobytes() for v in vec]
             none = pa.nulls(j - i, pa.int64())
-            yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, j - i), pa.array(np.diff(bounds)), pa.array(f1), pa.array(f2), pa.array([v.tobytes() for v in vec], pa.binary()), none, none], names)
+            yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, j - i), pa.array(np.diff(bounds)), pa.array(f1), pa.array(f2), pa.array(vec, pa.binary()), pa.array(box, pa.binary()), none, none], names)
     often = np.flatnonzero(sketch > 16 + SKETCH_TIMES * total / SKETCH_CELLS)
     if len(often):
         none = pa.nulls(len(often), pa.int64())
-        yield pa.RecordBatch.from_arrays([none, none, none, none, pa.nulls(len(often), pa.binary()), pa.array(often), pa.array(sketch[often])], names)
+        yield pa.RecordBatch.from_arrays([none, none, none, none, pa.nulls(len(often), pa.binary()), pa.nulls(len(often), pa.binary()), pa.array(often), pa.array(sketch[often])], names)
 
 
 def _prefix_keys(levels):
@@ -198,18 +226,11 @@ class CountVectorTree:
                     yield x[i], y[j]
 
 
-def _vectors(column: pa.Array) -> np.ndarray:
-    data, _ = K.utf8_rows(column)
-    out = np.frombuffer(data.tobytes(), np.uint16).reshape(len(column), GROUPS).astype(np.int64)
-    out[out == _WIDE] = np.iinfo(np.int64).max // (4 * GROUPS)
-    return out
-
-
 _PAIRS = "a long, b long"
 
 
 def _block_pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Candidate pairs of rows (key, lo, hi, doc, half, n, comp, vec) that come sorted by block; a block has a bounded number of rows."""
+    """Candidate pairs of rows (key, lo, hi, doc, half, n, comp, box) that come sorted by block; a block has a bounded number of rows."""
     held: pa.Table | None = None
 
     def blocks(table: pa.Table, at_end: bool) -> tuple[list[tuple[np.ndarray, np.ndarray]], pa.Table | None]:
@@ -223,12 +244,14 @@ def _block_pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         found = []
         doc, n, comp, half = (table.column(c).to_numpy() for c in ("doc", "n", "comp", "half"))
         lo, hi = key[1], key[2]
-        vec = _vectors(table.column("vec").combine_chunks()) if len(cut) > 1 else None
+        box = table.column("box").combine_chunks()
         for a, b in zip(cut, cut[1:]):
             own = comp[a:b]
             if b - a < 2 or (own == own[0]).all():
                 continue
-            for x, y in CountVectorTree(n[a:b], vec[a:b]).pairs():
+            points = np.frombuffer(K.utf8_rows(box.slice(a, b - a))[0].tobytes(), np.uint8).reshape(b - a, GROUPS).astype(np.int32)
+            points[points == _WIDE] = 1 << 20
+            for x, y in CountVectorTree(n[a:b], points).pairs():
                 keep = own[x] != own[y]
                 if lo[a] != hi[a]:
                     keep &= half[a:b][x] != half[a:b][y]
@@ -258,7 +281,7 @@ def _bounded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         if not batch.num_rows:
             continue
-        over = np.minimum(_vectors(batch.column(4)), _vectors(batch.column(5))).sum(1)
+        over = np.array([overlap_bound(x.as_py(), y.as_py()) for x, y in zip(batch.column(4), batch.column(5))], np.int64)
         good = CountVectorTree.reachable(over, batch.column(2).to_numpy(), batch.column(3).to_numpy())
         yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1)], ["a", "b"]).filter(pa.array(good))
 
@@ -283,7 +306,9 @@ def _linked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def _verified(texts: DataFrame, pairs: DataFrame) -> DataFrame:
     """The pairs (a, b) that link, by their whole sets."""
-    wanted = pairs.select(F.col("a").alias("doc")).union(pairs.select(F.col("b"))).distinct()
+    wanted = stash(pairs.select(F.col("a").alias("doc")).union(pairs.select(F.col("b"))).distinct())
+    if wanted.count() <= BROADCAST_ROWS:
+        wanted = F.broadcast(wanted)
     named = texts.where("doc_id IS NOT NULL").withColumnRenamed("doc_id", "doc")
     sets = named.join(wanted, "doc", "left_semi").mapInArrow(_sets, "doc long, grams binary")
     left = sets.select(F.col("doc").alias("a"), F.col("grams").alias("grams_a"))
@@ -343,9 +368,11 @@ def ngram_components(docs: DataFrame) -> DataFrame:
     half = F.pmod(F.xxhash64(F.lit(3), "doc"), F.col("parts").cast("long")).cast("int")
     rows = rows.withColumn("half", half).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
     rows = rows.withColumn("lo", F.least("half", "other")).withColumn("hi", F.greatest("half", "other"))
-    rows = rows.join(named.select("doc", "n", "vec"), "doc").select("key", "lo", "hi", "doc", "half", "n", "comp", "vec")
+    rows = rows.join(named.select("doc", "n", "box"), "doc").select("key", "lo", "hi", "doc", "half", "n", "comp", "box")
     near = rows.repartition("key", "lo", "hi").sortWithinPartitions("key", "lo", "hi").mapInArrow(_block_pairs, _PAIRS).distinct()
     near = stash(near.join(led, ["a", "b"], "left_anti"))
+    near = near.join(side("a"), "a").join(side("b"), "b").select("a", "b", "n_a", "n_b", "vec_a", "vec_b")
+    near = stash(near.mapInArrow(_bounded, _PAIRS).distinct())
     links = links.union(_verified(texts, near))
 
     whole = connected(links)
