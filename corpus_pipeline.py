@@ -27,7 +27,7 @@ def keep_known_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Da
 
 
 def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return _documents(line_dedup.line_dedup(docs.select(*COLUMNS)))
+    return _documents(line_dedup.line_dedup(docs.select(*COLUMNS), "edit"))
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
