@@ -19,7 +19,8 @@ from .common import text_column
 BLOCK = 576
 SAMPLE_RATE = 8000
 FILL = 255
-#: A frame is BLOCK samples, a third of a frame apart from the next pair's reach.
+#: Frames overlap by half, with half a frame of silence before and after, so that each byte counts and a block alone has pairs; bins are those of BLOCK samples.
+FRAME, HOP = 144, 72
 PEAKS_PER_FRAME, REACH = 3, 3
 #: Frames that are transformed at a time.
 FRAMES_AT_ONCE = 1024
@@ -50,16 +51,16 @@ def text_payload(text: bytes) -> bytes:
     return text + bytes([FILL]) * (size - len(text))
 
 
-_window = np.hanning(BLOCK).astype(np.float32)
+_window = np.hanning(FRAME).astype(np.float32)
 
 
 def spectral_peaks(samples: np.ndarray) -> np.ndarray:
     """(frames, PEAKS_PER_FRAME) frequency bins of the largest magnitudes, the strongest first; ties go to the lower bin."""
-    frames = samples.reshape(-1, BLOCK)
+    frames = np.lib.stride_tricks.sliding_window_view(np.pad(samples, HOP, constant_values=128), FRAME)[::HOP]
     out = np.empty((len(frames), PEAKS_PER_FRAME), np.int16)
     for i in range(0, len(frames), FRAMES_AT_ONCE):
         x = (frames[i : i + FRAMES_AT_ONCE].astype(np.float32) - 128) * _window
-        power = np.abs(np.fft.rfft(x, axis=1))
+        power = np.abs(np.fft.rfft(x, BLOCK, axis=1))
         power = np.round(power[:, 2:] * 16).astype(np.int64)
         inner = np.zeros_like(power)
         inner[:, 1:-1] = power[:, 1:-1] * ((power[:, 1:-1] >= power[:, :-2]) & (power[:, 1:-1] > power[:, 2:]))
