@@ -152,7 +152,8 @@ def _prefix_keys(levels):
                 for r, f in enumerate(zip(f1.tolist(), f2.tolist())):
                     if f in seen or not known[i + r]:
                         want[r] = 0
-                    seen.add(f)
+                    else:
+                        seen.add(f)
                 row = np.repeat(np.arange(j - i), n)
                 order = np.lexsort((h, level_of[(h >> np.uint64(44)).astype(np.int64)], row))
                 take = order[K.ranges(bounds[:-1], want)]
