@@ -18,12 +18,12 @@ from .measures import block_weights, boundary, edge_cut
 MOVES = "pe int, call int, step int, id long, from_block int, to_block int, gain long"
 
 
-def lp_refine(g: BlockGraph, part: DataFrame, k: int, bound: int, rounds: int = 25, seed: int = 0, sub_rounds: int = 2) -> DataFrame:
+def lp_refine(g: BlockGraph, part: DataFrame, k: int, bound: int, rounds: int = 25, seed: int = 0, sub_rounds: int = 2, admission: str = "histogram", ranges: int = 1) -> DataFrame:
     """Label propagation from the blocks; the best state of all rounds is returned, so the cut never rises."""
     best, best_cut = part, edge_cut(g, part).first()["cut"]
     now = part
     for r in range(rounds):
-        lp = LabelPropagation(bound, 1, sub_rounds, seed + 1000 * r, admission="histogram")
+        lp = LabelPropagation(bound, 1, sub_rounds, seed + 1000 * r, admission=admission, ranges=ranges)
         after = lp.run(g, now, "block")
         cut = edge_cut(g, after).first()["cut"]
         if cut < best_cut:

@@ -60,7 +60,7 @@ def cluster_once(csr: Csr, k: int, bound: int, cfg: PartitionConfig, p: int, see
     if kind == "matching":
         labels = kernels.matching(csr, limit, cfg.match_rounds, seed, cfg.two_hop)
     elif cfg.sequential_lp or p == 1:
-        labels = kernels.sclp_sequential(csr, limit, cfg.lp_rounds_coarsen, seed) if len(csr.nbr) < 400_000 else kernels.sclp(csr, limit, cfg.lp_rounds_coarsen, 16, seed, packet=1)
+        labels = kernels.sclp_sequential(csr, limit, cfg.lp_rounds_coarsen, seed)
     else:
         labels = kernels.sclp(csr, limit, cfg.lp_rounds_coarsen, cfg.sub_rounds, seed, packet=cfg.packet, stay_on_tie=cfg.stay_on_tie, ranges=p if cfg.quota and limit >= 4 * p else 0)
     return kernels.pack_lone(csr, labels, limit)
@@ -208,7 +208,17 @@ def partition_graph(g: BlockGraph, k: int, eps: float = 0.03, p: int = 4, seed:
     return _distributed(g, k, eps, p, seed, cfg)
 
 
+def _must_run_distributed(cfg: PartitionConfig) -> None:
+    """Raises for settings that have no DataFrame plan; they would otherwise do nothing on large levels."""
+    missing = sorted(set(cfg.refiner.split("+")) - {"lp", "mts", "greedy"})
+    missing += [name for name in ("flow", "sequential_lp") if getattr(cfg, name)]
+    missing += ["coarsening auto"] if cfg.coarsening == "auto" else []
+    if missing:
+        raise GraphError(f"no distributed form of {', '.join(missing)}; raise local_arc_limit or take execution_mode local")
+
+
 def _distributed(g: BlockGraph, k: int, eps: float, p: int, seed: int, cfg: PartitionConfig) -> PartitionResult:
+    _must_run_distributed(cfg)
     spark = g.vertices.sparkSession
     total, heaviest, n = g.vertices.agg(F.coalesce(F.sum("weight"), F.lit(0)), F.coalesce(F.max("weight"), F.lit(0)), F.count(F.lit(1))).first()
     bound = l_max(int(total), k, eps)
@@ -253,7 +263,9 @@ def _distributed(g: BlockGraph, k: int, eps: float, p: int, seed: int, cfg: Part
     for fine, to in reversed(levels):
         part = coarsening.project(part, to)
         if "lp" in cfg.refiner.split("+"):
-            part = refinement.lp_refine(fine, part, k, bound, min(cfg.lp_rounds_refine, 3), seed)
+            part = refinement.lp_refine(fine, part, k, bound, cfg.lp_rounds_refine, seed, admission="quota" if cfg.quota else "histogram", ranges=p if cfg.quota else 1)
+        if cfg.refiner == "greedy":
+            part = refinement.lp_refine(fine, part, k, bound, 4, seed, 4)
         if "mts" in cfg.refiner.split("+") and cfg.global_rounds:
             mts_began = time.perf_counter()
             part, counters = refinement.mts(fine, part, k, bound, p, cfg, seed)
