@@ -4,23 +4,26 @@
    told by a 128-bit digest and joined at once.
 2. Two sets that are similar enough share one of the first keys of each set in
    any fixed order of all shingles (prefix principle).  The order puts shingles
-   that are frequent by a sketch of fixed size last, so passages that many
-   documents share seldom become keys.  The sketch only changes the order, never
-   the result.
-3. Within a key, every document is first compared with the key's leader, a
-   linear number of pairs.  This settles families of near copies.
-4. What is left are pairs of different components that share a key.  The
-   shingles of a document, hashed into groups and counted, are a point; an
-   R-tree over the points of a key bounds the overlap of two boxes by the sum of
-   coordinate minima and prunes all that can't reach the threshold.  Boxes have
-   GROUPS coordinates; pairs of points are compared on finer groups, of which
-   large sets have more.  Keys with many documents are dealt out as blocks of
-   bounded size.
+   of rare words first: a shingle's place is the sum of its words' levels, a
+   word's level the logarithm of its count in a sketch of fixed size.  So texts
+   that have nothing to do with each other seldom share a key, and passages that
+   many documents share seldom become keys.  The sketch only changes the order,
+   never the result.
+3. The shingles of a document, hashed into groups and counted, are a point.  The
+   sum of coordinate minima bounds the overlap of two points or boxes.  Within a
+   key, every document is first held against the key's leader, a linear number
+   of pairs.  This settles families of near copies.
+4. What is left are pairs of different components that share a key and are near
+   enough in size.  An R-tree over the points of a key prunes all that can't
+   reach the threshold.  Boxes have GROUPS coordinates; pairs of points are
+   compared on finer groups, of which large sets have more.  Keys with many
+   documents are dealt out as blocks of bounded size.
 5. Pairs that survive are verified on whole sets.
 """
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -38,8 +41,9 @@ GROUPS = 256
 #: Groups of the points: of sets up to LARGE shingles, and of larger ones.
 FINE, FINER, LARGE = 512, 8192, 2000
 _WIDE = 255
-#: Cells of the frequency sketch, and what a task's cell must exceed, in means, to be told.
-SKETCH_CELLS, SKETCH_TIMES = 1 << 20, 8
+#: Cells of the sketch of word counts, and what a task's cell must exceed, in means, to be told.
+SKETCH_BITS, SKETCH_TIMES = 18, 2
+SKETCH_CELLS = 1 << SKETCH_BITS
 #: Rows of a block in which points are compared; larger keys are dealt out.
 BLOCK_ROWS = 1024
 #: Up to this many documents are named to all tasks when their sets are fetched; more are joined.
@@ -48,22 +52,48 @@ BROADCAST_ROWS = 500_000
 
 def shingle_sets(data: np.ndarray, offsets: np.ndarray, size: int = SHINGLE) -> tuple[np.ndarray, np.ndarray]:
     """Sorted distinct shingle hashes of each row, one after another, and each row's offset."""
+    h, bounds, _ = ranked_sets(*_words(data, offsets), None, size)
+    return h, bounds
+
+
+def _words(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     low = K.LOWER[data]
     starts, ends, first = K.word_spans(low, offsets)
-    words = K.span_hash(K.prefix_hash(low), starts, ends)
-    at, row = K.gram_rows(first, size, max(0, len(words) - size + 1))
+    return K.word_hash(low, starts, ends), first
+
+
+def _small(numbers: np.ndarray) -> np.ndarray:
+    """Numbers from 0 on as 16 bits where they fit: these are sorted in linear time."""
+    return numbers.astype(np.uint16) if not len(numbers) or numbers.max() < 1 << 16 else numbers
+
+
+def _cells(words: np.ndarray) -> np.ndarray:
+    return (words >> np.uint64(64 - SKETCH_BITS)).astype(np.int64)
+
+
+def ranked_sets(words: np.ndarray, first: np.ndarray, levels: np.ndarray | None, size: int = SHINGLE) -> tuple[np.ndarray, np.ndarray, np.ndarray | None]:
+    """shingle_sets of hashed words, ``first`` telling each row's first, and each shingle's place in the order of all: the sum of its words' levels."""
+    n_grams = max(0, len(words) - size + 1)
+    at, row = K.gram_rows(first, size, n_grams)
     h = K.gram_hash(words, size)[at]
+    place = None
+    if levels is not None:
+        total = np.concatenate([[0], np.cumsum(levels[_cells(words)].astype(np.int64))])
+        place = (total[size:] - total[:-size])[at] if n_grams else np.zeros(0, np.int64)
     n_words = np.diff(first)
     short = np.flatnonzero((n_words > 0) & (n_words < size))
     if len(short):  # the whole sequence is the only shingle
         extra = np.array([_few(words[first[r] : first[r + 1]]) for r in short.tolist()], np.uint64)
         h, row = np.concatenate([h, extra]), np.concatenate([row, short])
-    order = np.lexsort((h, row))
+        place = None if place is None else np.concatenate([place, np.zeros(len(short), np.int64)])
+    order = np.argsort(h)
+    order = order[np.argsort(_small(row[order]), kind="stable")]
     h, row = h[order], row[order]
     keep = np.ones(len(h), bool)
     keep[1:] = (h[1:] != h[:-1]) | (row[1:] != row[:-1])
+    place = None if place is None else place[order][keep]
     h, row = h[keep], row[keep]
-    return h, np.searchsorted(row, np.arange(len(offsets)))
+    return h, np.searchsorted(row, np.arange(len(first))), place
 
 
 def _few(words: np.ndarray) -> int:
@@ -113,26 +143,26 @@ def prefix_size(n: np.ndarray) -> np.ndarray:
     return np.where(n > 0, n - -(-n * PERCENT // 100) + 1, 0)
 
 
-_INFO = "doc long, n long, f1 long, f2 long, vec binary, box binary, cell long, cell_count long"
+_INFO = "doc long, n long, f1 long, f2 long, vec binary, cell long, cell_count long"
 
 
 def _info(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     sketch, total = np.zeros(SKETCH_CELLS, np.int64), 0
-    names = ["doc", "n", "f1", "f2", "vec", "box", "cell", "cell_count"]
+    names = ["doc", "n", "f1", "f2", "vec", "cell", "cell_count"]
     for batch in batches:
         for i, j, data, offsets in K.byte_chunks(batch.column(1)):
-            h, bounds = shingle_sets(data, offsets)
+            words, first = _words(data, offsets)
+            h, bounds, _ = ranked_sets(words, first, None)
             f1, f2 = _digests(h, bounds)
             vec = count_vectors(h, bounds)
-            sketch += np.bincount((h >> np.uint64(44)).astype(np.int64), minlength=SKETCH_CELLS)
-            total += len(h)
-            box = [np.minimum(_folded(_counts(v), GROUPS), _WIDE).astype(np.uint8).tobytes() for v in vec]
+            sketch += np.bincount(_cells(words), minlength=SKETCH_CELLS)
+            total += len(words)
             none = pa.nulls(j - i, pa.int64())
-            yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, j - i), pa.array(np.diff(bounds)), pa.array(f1), pa.array(f2), pa.array(vec, pa.binary()), pa.array(box, pa.binary()), none, none], names)
-    often = np.flatnonzero(sketch > 16 + SKETCH_TIMES * total / SKETCH_CELLS)
+            yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, j - i), pa.array(np.diff(bounds)), pa.array(f1), pa.array(f2), pa.array(vec, pa.binary()), none, none], names)
+    often = np.flatnonzero(sketch > 8 + SKETCH_TIMES * total / SKETCH_CELLS)
     if len(often):
         none = pa.nulls(len(often), pa.int64())
-        yield pa.RecordBatch.from_arrays([none, none, none, none, pa.nulls(len(often), pa.binary()), pa.nulls(len(often), pa.binary()), pa.array(often), pa.array(sketch[often])], names)
+        yield pa.RecordBatch.from_arrays([none, none, none, none, pa.nulls(len(often), pa.binary()), pa.array(often), pa.array(sketch[often])], names)
 
 
 def _prefix_keys(levels):
@@ -145,7 +175,7 @@ def _prefix_keys(levels):
             known = np.asarray(ids.is_valid())
             ids = np.asarray(ids.fill_null(0))
             for i, j, data, offsets in K.byte_chunks(batch.column(1)):
-                h, bounds = shingle_sets(data, offsets)
+                h, bounds, place = ranked_sets(*_words(data, offsets), level_of)
                 f1, f2 = _digests(h, bounds)
                 n = np.diff(bounds)
                 want = prefix_size(n)
@@ -155,7 +185,8 @@ def _prefix_keys(levels):
                     else:
                         seen.add(f)
                 row = np.repeat(np.arange(j - i), n)
-                order = np.lexsort((h, level_of[(h >> np.uint64(44)).astype(np.int64)], row))
+                order = np.argsort(_small(place), kind="stable")
+                order = order[np.argsort(_small(row[order]), kind="stable")]
                 take = order[K.ranges(bounds[:-1], want)]
                 yield pa.RecordBatch.from_arrays([pa.array(h[take].view(np.int64)), pa.array(ids[i + row[take]].astype(np.int64))], ["key", "doc"])
 
@@ -228,14 +259,19 @@ class CountVectorTree:
 
 
 _PAIRS = "a long, b long"
+#: A pair can only link in the same or in neighbouring size classes.
+_CLASS_BASE = 1.005 * 100 / PERCENT
 
 
 def _block_pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Candidate pairs of rows (key, lo, hi, doc, half, n, comp, box) that come sorted by block; a block has a bounded number of rows."""
+    """Candidate pairs of rows (key, size_class, block, doc, own, home, n, comp, vec) that come sorted by block.
+
+    Rows that aren't of the block's own size class only meet those that are, and rows of the key's home component only others.
+    """
     held: pa.Table | None = None
 
     def blocks(table: pa.Table, at_end: bool) -> tuple[list[tuple[np.ndarray, np.ndarray]], pa.Table | None]:
-        key = np.stack([table.column(c).to_numpy() for c in ("key", "lo", "hi")])
+        key = np.stack([table.column(c).to_numpy() for c in ("key", "size_class", "block")])
         change = np.flatnonzero((key[:, 1:] != key[:, :-1]).any(0)) + 1
         cut = [0, *change.tolist(), table.num_rows]
         rest = None
@@ -243,19 +279,15 @@ def _block_pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             rest = table.slice(cut[-2])
             cut = cut[:-1]
         found = []
-        doc, n, comp, half = (table.column(c).to_numpy() for c in ("doc", "n", "comp", "half"))
-        lo, hi = key[1], key[2]
-        box = table.column("box").combine_chunks()
+        doc, n, comp, mine = (table.column(c).to_numpy() for c in ("doc", "n", "comp", "own"))
+        vec = table.column("vec")
         for a, b in zip(cut, cut[1:]):
-            own = comp[a:b]
-            if b - a < 2 or (own == own[0]).all():
+            comps = comp[a:b]
+            if b - a < 2 or (comps == comps[0]).all() or not mine[a:b].any():
                 continue
-            points = np.frombuffer(K.utf8_rows(box.slice(a, b - a))[0].tobytes(), np.uint8).reshape(b - a, GROUPS).astype(np.int32)
-            points[points == _WIDE] = 1 << 20
+            points = np.stack([_folded(_counts(v.as_py()), GROUPS) for v in vec.slice(a, b - a)]).astype(np.int64)
             for x, y in CountVectorTree(n[a:b], points).pairs():
-                keep = own[x] != own[y]
-                if lo[a] != hi[a]:
-                    keep &= half[a:b][x] != half[a:b][y]
+                keep = (comps[x] != comps[y]) & (mine[a:b][x] | mine[a:b][y])
                 x, y = doc[a:b][x[keep]], doc[a:b][y[keep]]
                 found.append((np.minimum(x, y), np.maximum(x, y)))
         return found, rest
@@ -318,6 +350,19 @@ def _verified(texts: DataFrame, pairs: DataFrame) -> DataFrame:
     return both.mapInArrow(_linked, _PAIRS)
 
 
+def _reached(pairs: DataFrame, named: DataFrame) -> DataFrame:
+    """The pairs (a, b) whose sizes and count vectors leave a link possible; equal sets don't count."""
+
+    def side(s: str) -> DataFrame:
+        return named.select(F.col("doc").alias(s), *[F.col(c).alias(f"{c}_{s}") for c in ("n", "f1", "f2", "vec")])
+
+    sizes = named.select("doc", "n")
+    near = pairs.join(sizes.toDF("a", "n_x"), "a").join(sizes.toDF("b", "n_y"), "b")
+    near = near.where(f"100 * least(n_x, n_y) >= {PERCENT} * greatest(n_x, n_y)").select("a", "b")
+    both = near.join(side("a"), "a").join(side("b"), "b").where("f1_a <> f1_b OR f2_a <> f2_b")
+    return both.select("a", "b", "n_a", "n_b", "vec_a", "vec_b").mapInArrow(_bounded, _PAIRS).distinct()
+
+
 def ngram_components(docs: DataFrame) -> DataFrame:
     """(doc_id, n_shingles, component_id), one row for each input row.
 
@@ -337,7 +382,7 @@ def ngram_components(docs: DataFrame) -> DataFrame:
     cells = told.where("cell IS NOT NULL").groupBy("cell").agg(F.sum("cell_count").alias("c")).toPandas()
     level = np.zeros(SKETCH_CELLS, np.uint8)
     if len(cells):
-        level[cells["cell"].to_numpy()] = 1 + np.log2(cells["c"].to_numpy()).astype(np.uint8)
+        level[cells["cell"].to_numpy()] = np.log2(cells["c"].to_numpy()).astype(np.uint8)
     keys = texts.mapInArrow(_prefix_keys(spark.sparkContext.broadcast(level)), "key long, doc long")
 
     leaders = keys.groupBy("key").agg(F.min("doc").alias("lead"), F.max("doc").alias("top")).where("lead < top").drop("top")
@@ -349,31 +394,32 @@ def ngram_components(docs: DataFrame) -> DataFrame:
     copies = named.select(F.col("doc").alias("a"), "f1", "f2").join(copies, ["f1", "f2"]).where("a > b").select("a", "b")
 
     # Each document against the leaders of its keys.
-    def side(s: str) -> DataFrame:
-        return named.select(F.col("doc").alias(s), *[F.col(c).alias(f"{c}_{s}") for c in ("n", "f1", "f2", "vec")])
-
     led = shared.where("doc > lead").select(F.col("lead").alias("a"), F.col("doc").alias("b")).distinct()
-    led = led.join(side("a"), "a").join(side("b"), "b").where("f1_a <> f1_b OR f2_a <> f2_b")
-    led = stash(led.select("a", "b", "n_a", "n_b", "vec_a", "vec_b").mapInArrow(_bounded, _PAIRS).distinct())
+    led = stash(_reached(led, named))
     links = stash(copies.union(_verified(texts, led)))
     parts = connected(links)
 
     # Pairs of different components that share a key.  Keys with the same documents are one.
-    rows = shared.join(parts.withColumnRenamed("id", "doc"), "doc", "left").withColumn("comp", F.coalesce("component", "doc")).select("key", "doc", "comp")
+    rows = shared.join(parts.withColumnRenamed("id", "doc"), "doc", "left").withColumn("comp", F.coalesce("component", "doc")).select("key", "doc", "lead", "comp")
     mixed = rows.groupBy("key").agg(
         F.count(F.lit(1)).alias("m"), F.min("comp").alias("low"), F.max("comp").alias("high"), F.sum(F.xxhash64("doc").cast("decimal(38,0)")).alias("s1"), F.sum(F.xxhash64(F.lit(7), "doc").cast("decimal(38,0)")).alias("s2")
     )
-    mixed = mixed.where("low < high").groupBy("m", "s1", "s2").agg(F.min("key").alias("key"))
-    mixed = mixed.select("key", F.ceil(F.col("m") / BLOCK_ROWS).cast("int").alias("parts"))
-    rows = stash(rows.join(mixed, "key"))
-    half = F.pmod(F.xxhash64(F.lit(3), "doc"), F.col("parts").cast("long")).cast("int")
-    rows = rows.withColumn("half", half).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
-    rows = rows.withColumn("lo", F.least("half", "other")).withColumn("hi", F.greatest("half", "other"))
-    rows = rows.join(named.select("doc", "n", "box"), "doc").select("key", "lo", "hi", "doc", "half", "n", "comp", "box")
-    near = rows.repartition("key", "lo", "hi").sortWithinPartitions("key", "lo", "hi").mapInArrow(_block_pairs, _PAIRS).distinct()
-    near = stash(near.join(led, ["a", "b"], "left_anti"))
-    near = near.join(side("a"), "a").join(side("b"), "b").select("a", "b", "n_a", "n_b", "vec_a", "vec_b")
-    near = stash(near.mapInArrow(_bounded, _PAIRS).distinct())
+    mixed = mixed.where("low < high").groupBy("m", "s1", "s2").agg(F.min("key").alias("key")).select("key")
+    rows = rows.join(mixed, "key").join(named.select("doc", "n"), "doc")
+    # A row belongs to its size class, and is a guest in the class above.
+    own = F.floor(F.log(F.col("n")) / math.log(_CLASS_BASE)).cast("int")
+    rows = rows.withColumn("own_class", own).withColumn("size_class", F.explode(F.array(own, own + 1)))
+    rows = stash(rows.select("key", "doc", "lead", "comp", "n", "size_class", (F.col("own_class") == F.col("size_class")).alias("own")))
+    cells = rows.groupBy("key", "size_class").agg(F.count(F.lit(1)).alias("m"), F.min("comp").alias("low"), F.max("comp").alias("high"), F.max("own").alias("any"))
+    cells = cells.where("any AND low < high").select("key", "size_class", F.ceil(F.col("m") / BLOCK_ROWS).cast("int").alias("parts"))
+    # Rows of the leader's component are dealt out to blocks; others meet all blocks of their key and size.
+    home = rows.where("doc = lead").select("key", F.col("comp").alias("home")).distinct()
+    rows = rows.join(cells, ["key", "size_class"]).join(home, "key", "left")
+    dealt = F.array(F.pmod(F.xxhash64(F.lit(3), "doc"), F.col("parts").cast("long")).cast("int"))
+    rows = rows.withColumn("block", F.explode(F.when(F.col("comp") == F.col("home"), dealt).otherwise(F.sequence(F.lit(0), F.col("parts") - 1))))
+    rows = rows.join(named.select("doc", "n", "vec"), ["doc", "n"]).select("key", "size_class", "block", "doc", "own", "n", "comp", "vec")
+    near = rows.repartition("key", "size_class", "block").sortWithinPartitions("key", "size_class", "block").mapInArrow(_block_pairs, _PAIRS).distinct()
+    near = stash(_reached(near.join(led, ["a", "b"], "left_anti"), named))
     links = links.union(_verified(texts, near))
 
     whole = connected(links)

@@ -7,6 +7,7 @@ bound the memory of a task whatever the length of an Arrow batch.
 
 from __future__ import annotations
 
+import hashlib
 from collections.abc import Iterator
 
 import numpy as np
@@ -67,6 +68,18 @@ def span_hash(prefix: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.nd
     return mix64((prefix[ends] - prefix[starts]) * inverse[starts] + (ends - starts).astype(np.uint64))
 
 
+#: Up to this length the sums of span_hash tell all but freak spans apart; longer words are hashed whole.
+LONG_WORD = 256
+
+
+def word_hash(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """64-bit hashes of words.  Sums modulo 2**64 are the same for certain long strings, so long words get a digest of their bytes."""
+    out = span_hash(prefix_hash(data), starts, ends)
+    for i in np.flatnonzero(ends - starts > LONG_WORD).tolist():
+        out[i] = int.from_bytes(hashlib.blake2b(data[starts[i] : ends[i]].tobytes(), digest_size=8).digest(), "little")
+    return out
+
+
 def utf8_rows(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """Bytes and row offsets (from 0) of a string column; null counts as empty."""
     if isinstance(column, pa.ChunkedArray):
