@@ -6,9 +6,10 @@
    any fixed order of all shingles (prefix principle).  The order puts shingles
    of rare words first: a shingle's place is the sum of its words' levels, a
    word's level the logarithm of its count in a sketch of fixed size.  So texts
-   that have nothing to do with each other seldom share a key, and passages that
-   many documents share seldom become keys.  The sketch only changes the order,
-   never the result.
+   that have nothing to do with each other seldom share a key.  Keys that are
+   found in more than HEAVY documents by this order come last in a second one, so
+   passages that many documents share seldom are keys.  Sketches only change the
+   order, never the result.
 3. The shingles of a document, hashed into groups and counted, are a point.  The
    sum of coordinate minima bounds the overlap of two points or boxes.  Within a
    key, every document is first held against the key's leader, a linear number
@@ -44,6 +45,8 @@ _WIDE = 255
 #: Cells of the sketch of word counts, and what a task's cell must exceed, in means, to be told.
 SKETCH_BITS, SKETCH_TIMES = 18, 2
 SKETCH_CELLS = 1 << SKETCH_BITS
+#: Keys of more documents are put last, told by cells of their hashes, of which one in HEAVY_SHARE may be so.
+HEAVY, HEAVY_BITS, HEAVY_SHARE = 16, 20, 8
 #: Rows of a block in which points are compared; larger keys are dealt out.
 BLOCK_ROWS = 1024
 #: Up to this many documents are named to all tasks when their sets are fetched; more are joined.
@@ -143,12 +146,12 @@ def prefix_size(n: np.ndarray) -> np.ndarray:
     return np.where(n > 0, n - -(-n * PERCENT // 100) + 1, 0)
 
 
-_INFO = "doc long, n long, f1 long, f2 long, vec binary, cell long, cell_count long"
+_INFO = "doc long, n long, f1 long, f2 long, vec binary, box binary, cell long, cell_count long"
 
 
 def _info(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     sketch, total = np.zeros(SKETCH_CELLS, np.int64), 0
-    names = ["doc", "n", "f1", "f2", "vec", "cell", "cell_count"]
+    names = ["doc", "n", "f1", "f2", "vec", "box", "cell", "cell_count"]
     for batch in batches:
         for i, j, data, offsets in K.byte_chunks(batch.column(1)):
             words, first = _words(data, offsets)
@@ -158,18 +161,20 @@ def _info(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             sketch += np.bincount(_cells(words), minlength=SKETCH_CELLS)
             total += len(words)
             none = pa.nulls(j - i, pa.int64())
-            yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, j - i), pa.array(np.diff(bounds)), pa.array(f1), pa.array(f2), pa.array(vec, pa.binary()), none, none], names)
+            box = [np.minimum(_folded(_counts(v), GROUPS), _WIDE).astype(np.uint8).tobytes() for v in vec]
+            yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, j - i), pa.array(np.diff(bounds)), pa.array(f1), pa.array(f2), pa.array(vec, pa.binary()), pa.array(box, pa.binary()), none, none], names)
     often = np.flatnonzero(sketch > 8 + SKETCH_TIMES * total / SKETCH_CELLS)
     if len(often):
         none = pa.nulls(len(often), pa.int64())
-        yield pa.RecordBatch.from_arrays([none, none, none, none, pa.nulls(len(often), pa.binary()), pa.array(often), pa.array(sketch[often])], names)
+        yield pa.RecordBatch.from_arrays([none, none, none, none, pa.nulls(len(often), pa.binary()), pa.nulls(len(often), pa.binary()), pa.array(often), pa.array(sketch[often])], names)
 
 
-def _prefix_keys(levels):
+def _prefix_keys(levels, heavy=None):
     """Rows (key, doc): the first keys of each document; of equal sets in a task one document goes on."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         level_of, seen = levels.value, set()
+        last = None if heavy is None else heavy.value.astype(np.int64) << 8
         for batch in batches:
             ids = batch.column(0)
             known = np.asarray(ids.is_valid())
@@ -185,6 +190,8 @@ def _prefix_keys(levels):
                     else:
                         seen.add(f)
                 row = np.repeat(np.arange(j - i), n)
+                if last is not None:
+                    place = np.minimum(place, 255) + last[(h >> np.uint64(64 - HEAVY_BITS)).astype(np.int64)]
                 order = np.argsort(_small(place), kind="stable")
                 order = order[np.argsort(_small(row[order]), kind="stable")]
                 take = order[K.ranges(bounds[:-1], want)]
@@ -264,7 +271,7 @@ _CLASS_BASE = 1.005 * 100 / PERCENT
 
 
 def _block_pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Candidate pairs of rows (key, size_class, block, doc, own, home, n, comp, vec) that come sorted by block.
+    """Candidate pairs of rows (key, size_class, block, doc, own, n, comp, box) that come sorted by block.
 
     Rows that aren't of the block's own size class only meet those that are, and rows of the key's home component only others.
     """
@@ -280,12 +287,13 @@ def _block_pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             cut = cut[:-1]
         found = []
         doc, n, comp, mine = (table.column(c).to_numpy() for c in ("doc", "n", "comp", "own"))
-        vec = table.column("vec")
+        box = table.column("box").combine_chunks()
         for a, b in zip(cut, cut[1:]):
             comps = comp[a:b]
             if b - a < 2 or (comps == comps[0]).all() or not mine[a:b].any():
                 continue
-            points = np.stack([_folded(_counts(v.as_py()), GROUPS) for v in vec.slice(a, b - a)]).astype(np.int64)
+            points = K.utf8_rows(box.slice(a, b - a))[0].reshape(b - a, GROUPS).astype(np.int32)
+            points[points == _WIDE] = 1 << 20
             for x, y in CountVectorTree(n[a:b], points).pairs():
                 keep = (comps[x] != comps[y]) & (mine[a:b][x] | mine[a:b][y])
                 x, y = doc[a:b][x[keep]], doc[a:b][y[keep]]
@@ -383,7 +391,16 @@ def ngram_components(docs: DataFrame) -> DataFrame:
     level = np.zeros(SKETCH_CELLS, np.uint8)
     if len(cells):
         level[cells["cell"].to_numpy()] = np.log2(cells["c"].to_numpy()).astype(np.uint8)
-    keys = texts.mapInArrow(_prefix_keys(spark.sparkContext.broadcast(level)), "key long, doc long")
+    level = spark.sparkContext.broadcast(level)
+    keys = texts.mapInArrow(_prefix_keys(level), "key long, doc long")
+    often = keys.groupBy("key").count().where(F.col("count") > HEAVY)
+    often = often.groupBy(F.shiftrightunsigned("key", 64 - HEAVY_BITS).alias("cell")).agg(F.max("count").alias("c")).toPandas()
+    heavy = np.zeros(1 << HEAVY_BITS, np.uint8)
+    if len(often):
+        heavy[often["cell"].to_numpy()] = np.log2(often["c"].to_numpy()).astype(np.uint8)
+        while (heavy > 0).sum() > len(heavy) // HEAVY_SHARE:
+            heavy[heavy == heavy[heavy > 0].min()] = 0
+    keys = texts.mapInArrow(_prefix_keys(level, spark.sparkContext.broadcast(heavy)), "key long, doc long")
 
     leaders = keys.groupBy("key").agg(F.min("doc").alias("lead"), F.max("doc").alias("top")).where("lead < top").drop("top")
     shared = stash(keys.join(leaders, "key").select("key", "doc", "lead"))
@@ -417,7 +434,7 @@ def ngram_components(docs: DataFrame) -> DataFrame:
     rows = rows.join(cells, ["key", "size_class"]).join(home, "key", "left")
     dealt = F.array(F.pmod(F.xxhash64(F.lit(3), "doc"), F.col("parts").cast("long")).cast("int"))
     rows = rows.withColumn("block", F.explode(F.when(F.col("comp") == F.col("home"), dealt).otherwise(F.sequence(F.lit(0), F.col("parts") - 1))))
-    rows = rows.join(named.select("doc", "n", "vec"), ["doc", "n"]).select("key", "size_class", "block", "doc", "own", "n", "comp", "vec")
+    rows = rows.join(named.select("doc", "n", "box"), ["doc", "n"]).select("key", "size_class", "block", "doc", "own", "n", "comp", "box")
     near = rows.repartition("key", "size_class", "block").sortWithinPartitions("key", "size_class", "block").mapInArrow(_block_pairs, _PAIRS).distinct()
     near = stash(_reached(near.join(led, ["a", "b"], "left_anti"), named))
     links = links.union(_verified(texts, near))
