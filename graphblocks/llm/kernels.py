@@ -38,7 +38,8 @@ def mix64(x: np.ndarray) -> np.ndarray:
     return x
 
 
-_BYTE_VALUE = mix64(np.arange(1, 257, dtype=np.uint64) * _BASE)
+#: Values of the bytes for two independent sums.
+_BYTE_VALUE = [mix64(np.arange(1 + 256 * k, 257 + 256 * k, dtype=np.uint64) * _BASE) for k in range(2)]
 _powers: list[np.ndarray] = [np.ones(1, np.uint64), np.ones(1, np.uint64)]
 
 
@@ -54,11 +55,11 @@ def power_tables(n: int) -> tuple[np.ndarray, np.ndarray]:
     return _powers[0], _powers[1]
 
 
-def prefix_hash(data: np.ndarray) -> np.ndarray:
-    """Prefix sums from which ``span_hash`` gets the hash of any byte span."""
+def prefix_hash(data: np.ndarray, salt: int = 0) -> np.ndarray:
+    """Prefix sums from which ``span_hash`` gets the hash of any byte span; another ``salt`` gives others."""
     power, _ = power_tables(len(data))
     out = np.zeros(len(data) + 1, np.uint64)
-    np.cumsum(_BYTE_VALUE[data] * power[: len(data)], out=out[1:])
+    np.cumsum(_BYTE_VALUE[salt][data] * power[: len(data)], out=out[1:])
     return out
 
 
@@ -72,9 +73,9 @@ def span_hash(prefix: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.nd
 LONG_WORD = 256
 
 
-def word_hash(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+def word_hash(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, prefix: np.ndarray | None = None) -> np.ndarray:
     """64-bit hashes of words.  Sums modulo 2**64 are the same for certain long strings, so long words get a digest of their bytes."""
-    out = span_hash(prefix_hash(data), starts, ends)
+    out = span_hash(prefix_hash(data) if prefix is None else prefix, starts, ends)
     for i in np.flatnonzero(ends - starts > LONG_WORD).tolist():
         out[i] = int.from_bytes(hashlib.blake2b(data[starts[i] : ends[i]].tobytes(), digest_size=8).digest(), "little")
     return out

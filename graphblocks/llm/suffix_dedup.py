@@ -9,13 +9,16 @@ offsets, so they agree between tasks without a common table.
    with the least identifier stands for it; equal strings have equal
    representatives.  A shuffle by identifier drops those that are alone.
 2. *Runs.*  Neighbouring strings with the same representative are refined
-   together: the identifier of a run is that of its first string's and its last
-   string's bytes.  Runs with company are repeated as a whole, and what they
-   tell is reused: one run of each bucket is the evidence for the next step.
-3. *Parts.*  Runs that are alone, but whose q-gram is not, are cut into parts
-   of PART strings, counted from the q-gram, and refined in the same way.
-4. *Strings.*  Only parts that are still alone are taken apart.  Identifiers of
-   ``length`` bytes decide.
+   together: a bucket of a q-gram is sorted by the identifier of all bytes of a
+   run.  Runs with company are repeated as a whole, and what they tell is reused:
+   one run of each such bucket is the evidence for the next step.
+3. *Parts.*  Runs that are alone, but whose q-gram is not, are cut into parts of
+   PART strings, counted from the q-gram.  Their buckets are those of the bytes
+   that all strings of a part have in common, nearly ``length`` of them, and are
+   sorted by the identifier of all its bytes.  Parts alone in their bucket have
+   no repeated string and go; parts with company are repeated as a whole.
+4. *Strings.*  What is left are parts in which a repeated passage begins or
+   ends.  They are taken apart; two identifiers of ``length`` bytes decide.
 
 Each step is one shuffle, before which a task settles what it has twice itself,
 so a bucket with a third of all suffixes costs a few rows for each task.
@@ -52,6 +55,7 @@ class _Chunk:
 
     def __init__(self, data: np.ndarray, offsets: np.ndarray, length: int):
         self.data, self.offsets, self.length = data, offsets, length
+        self.part = min(PART, max(1, length // 4))
         q = max(1, length // 4)
         n = len(data)
         prefix = K.prefix_hash(data)
@@ -66,13 +70,19 @@ class _Chunk:
         stands = least_positions(self.gram, length - q + 1)[starts] if len(starts) else starts
         self.run_start, self.run_row, self.run_gram, self.run_size = runs_of(stands, starts, row)
 
-    def string_ids(self, starts: np.ndarray) -> np.ndarray:
-        """Identifiers of ``length`` bytes, refined from those of half the length."""
+    def string_ids(self, starts: np.ndarray, other: bool = False) -> np.ndarray:
+        """Identifiers of ``length`` bytes, refined from those of half the length; ``other`` ones are made from other sums."""
         half = self.length // 2
-        near = K.span_hash(self._prefix, starts, starts + half)
-        far = K.span_hash(self._prefix, starts + half, starts + self.length)
+        prefix = K.prefix_hash(self.data, 1) if other else self._prefix
+        near = K.span_hash(prefix, starts, starts + half)
+        far = K.span_hash(prefix, starts + half, starts + self.length)
         return _refined(near, far)
 
+    def core_ids(self, grams: np.ndarray, numbers: np.ndarray) -> np.ndarray:
+        """Identifiers of the bytes that all strings of parts have in common."""
+        starts = grams - numbers * self.part
+        return _refined(K.span_hash(self._prefix, starts, starts + self.length - self.part + 1), numbers.astype(np.uint64))
+
     def span_ids(self, starts: np.ndarray, sizes: np.ndarray, grams: np.ndarray) -> np.ndarray:
         """Identifiers of all bytes of runs or parts, and of where their q-gram lies."""
         return _refined(K.span_hash(self._prefix, starts, starts + sizes + self.length - 1), (grams - starts).astype(np.uint64))
@@ -82,12 +92,13 @@ class _Chunk:
         gram_of = np.zeros(len(self.data) + 1, np.int64)
         gram_of[self.run_start] = self.run_gram
         gram = gram_of[starts]
-        last, first = (gram - starts) // PART, (gram - starts - sizes + 1) // PART
+        part = self.part
+        last, first = (gram - starts) // part, (gram - starts - sizes + 1) // part
         count = last - first + 1
         run = np.repeat(np.arange(len(starts)), count)
         number = K.ranges(first, count)
-        a = np.maximum(gram[run] - number * PART - (PART - 1), starts[run])
-        b = np.minimum(gram[run] - number * PART, starts[run] + sizes[run] - 1)
+        a = np.maximum(gram[run] - number * part - (part - 1), starts[run])
+        b = np.minimum(gram[run] - number * part, starts[run] + sizes[run] - 1)
         return run, a, b - a + 1, gram[run], number
 
     def places(self, starts: np.ndarray, rows: np.ndarray, many: np.ndarray) -> np.ndarray:
@@ -120,7 +131,7 @@ def _settle(h: np.ndarray, run: np.ndarray, doc: np.ndarray, place: np.ndarray,
 
 
 def _emit(step: int, length: int):
-    """Rows of the steps: 1 q-grams of (doc_id, text), 2 runs of (doc_id, text, grams), h being the q-gram, 3 parts of (doc_id, text, open, evidence, done), h being the q-gram and the part's number, 4 strings of the same with the parts' lists."""
+    """Rows of the steps: 1 q-grams of (doc_id, text), 2 runs of (doc_id, text, grams), h being the q-gram, 3 parts of (doc_id, text, open, evidence, done), h being the bytes common to a part's strings, 4 strings of the same with the parts' lists."""
     rows_at_once = 3_000_000
 
     def of_chunk(chunk: _Chunk, batch: pa.RecordBatch, i: int, j: int) -> list[tuple[np.ndarray, ...]]:
@@ -147,11 +158,11 @@ def _emit(step: int, length: int):
             if step == 3:
                 run, starts, sizes, gram, number = chunk.parts(at, many)
                 rows = rows[own][run]
-                h = _refined(chunk.gram[gram], number.astype(np.uint64))
-                out.append((h, chunk.span_ids(starts, sizes, gram), rows, chunk.places(starts, rows, sizes), np.full(len(starts), kind, np.int32)))
+                out.append((chunk.core_ids(gram, number), chunk.span_ids(starts, sizes, gram), rows, chunk.places(starts, rows, sizes), np.full(len(starts), kind, np.int32)))
                 continue
             starts, rows = K.ranges(at, many), np.repeat(rows[own], many)
-            out.append((chunk.string_ids(starts), np.zeros(len(starts), np.uint64), rows, chunk.places(starts, rows, np.ones(len(starts), np.int64)), np.full(len(starts), kind, np.int32)))
+            if len(starts):
+                out.append((chunk.string_ids(starts), chunk.string_ids(starts, True), rows, chunk.places(starts, rows, np.ones(len(starts), np.int64)), np.full(len(starts), kind, np.int32)))
         return out
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -194,8 +205,8 @@ def removed_places(docs: DataFrame, length: int) -> DataFrame:
     told = docs.join(lists, docs["doc_id"] == lists["doc"]).select(*own, "open", "evidence", "done")
     parts = _lists(told.mapInArrow(_emit(3, length), _ROWS)).select(F.col("doc").alias("doc_p"), *[F.col(c).alias(f"{c}_p") for c in ("open", "evidence", "done")])
     told = docs.join(parts, docs["doc_id"] == parts["doc_p"]).select(*own, "open_p", "evidence_p", "done_p")
-    strings = told.mapInArrow(_emit(4, length), _ROWS).select("h", "doc", "place", "kind")
-    strings = strings.withColumn("company", _company("h")).where(f"company AND kind <> {_EVIDENCE}")
+    strings = told.mapInArrow(_emit(4, length), _ROWS)
+    strings = strings.withColumn("company", _company("h", "run")).where(f"company AND kind <> {_EVIDENCE}")
     places = strings.groupBy("doc").agg(F.collect_list("place").alias("places")).withColumnRenamed("doc", "doc_s")
     out = docs.join(lists, docs["doc_id"] == lists["doc"], "left").join(parts, docs["doc_id"] == parts["doc_p"], "left").join(places, docs["doc_id"] == F.col("doc_s"), "left")
     return out.select(*own, *lists_of).unionByName(unnamed)
