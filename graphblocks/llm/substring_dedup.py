@@ -2,20 +2,23 @@
 
 A window of ``length`` words can only be repeated if the windows inside it are.
 So windows of FIRST_LEVEL words come first, and only where they are repeated are
-they extended, to twice the words at each level and at last to ``length``.
+they extended to twice the words, and only where these are repeated to ``length``.
 
 * The first level is thinned by content: of the short windows inside a full one,
   the one with the least hash stands for it.  Equal full windows have equal
   representatives, so nothing is missed, and one word in five makes a row.
-* Neighbouring full windows with one representative form a run.  Runs are
-  extended as a whole: in all documents but the smallest that has it, a repeated
-  run goes.
-* What a smallest document keeps of a run may still be found in other runs of
-  the same representative.  Only there single windows are extended by doubling.
+* The second level extends survivors to twice the words.  Neighbouring full
+  windows with one representative, dealt into parts by their distance from it,
+  have a window of that length in common.  Parts whose common window is found in
+  no smaller document have no repeated window and go.  Parts that are repeated
+  with all their words are settled as a whole, in all documents but the smallest.
+* Only parts whose common window survives, but which are not repeated as a whole,
+  are extended to full windows one by one.
 
 Each step is one shuffle.  Before it, a task settles what it can see itself: of
 equal windows in one task a single row goes on, so a passage that a third of all
-documents share costs one row for each task.
+documents share costs one row for each task.  Windows of the last level are told
+by two hashes, 128 bits.
 """
 
 from __future__ import annotations
@@ -88,10 +91,10 @@ class _Chunk:
     """The words of some rows, with the runs of their windows."""
 
     def __init__(self, data: np.ndarray, offsets: np.ndarray, length: int):
-        self.length = length
+        self.length, self._sums = length, None
         self.starts, self.ends, self.first = K.word_spans(data, offsets)
         prefix = K.prefix_hash(data)
-        self.words = K.span_hash(prefix, self.starts, self.ends)
+        self.words = K.word_hash(data, self.starts, self.ends, prefix)
         self.tag = (K.span_hash(prefix, offsets[:-1], offsets[1:]) & np.uint64(0xFFFF)).astype(np.int64)
 
     def runs(self) -> tuple[np.ndarray, ...]:
@@ -102,12 +105,27 @@ class _Chunk:
         stands = least_positions(grams, self.length - level + 1)[at] if len(at) else at
         return (*runs_of(stands, at, row), grams)
 
-    def run_hashes(self, starts: np.ndarray, stands: np.ndarray, sizes: np.ndarray) -> np.ndarray:
-        """Hashes of all words of runs, and of where their representative lies."""
-        power, inverse = K.power_tables(len(self.words) + 1)
-        whole = np.concatenate([[np.uint64(0)], np.cumsum(self.words * power[: len(self.words)])])
-        sums = (whole[starts + sizes + self.length - 1] - whole[starts]) * inverse[starts]
-        return K.mix64(K.mix64(sums) + (stands - starts).astype(np.uint64) * np.uint64(MANY + 1) + sizes.astype(np.uint64))
+    def span_hashes(self, starts: np.ndarray, sizes: np.ndarray, more: np.ndarray) -> np.ndarray:
+        """Hashes of the words of spans, and of a further number for each."""
+        if self._sums is None:
+            power, _ = K.power_tables(len(self.words) + 1)
+            self._sums = np.concatenate([[np.uint64(0)], np.cumsum(self.words * power[: len(self.words)])])
+        _, inverse = K.power_tables(len(self.words) + 1)
+        sums = (self._sums[starts + sizes] - self._sums[starts]) * inverse[starts]
+        return K.mix64(K.mix64(sums) + more.astype(np.uint64) * np.uint64(MANY + 1) + sizes.astype(np.uint64))
+
+    def parts(self, start: np.ndarray, row: np.ndarray, stand: np.ndarray, size: np.ndarray) -> tuple[np.ndarray, ...]:
+        """Hash of the common window, hash of all words, row, start and size of the parts of runs; parts are counted from the representative."""
+        common = min(2 * FIRST_LEVEL, self.length)
+        step = self.length - common + 1
+        last, first = (stand - start) // step, (stand - start - size + 1) // step
+        count = last - first + 1
+        run, number = np.repeat(np.arange(len(start)), count), K.ranges(first, count)
+        begin = stand[run] - number * step
+        a = np.maximum(begin - (step - 1), start[run])
+        many = np.minimum(begin, start[run] + size[run] - 1) - a + 1
+        core = self.span_hashes(begin, np.full(len(begin), common), number)
+        return core, self.span_hashes(a, many + self.length - 1, begin - a), row[run], a, many
 
     def window_hashes(self) -> np.ndarray:
         """Hashes of all full windows, by doubling from the first level on."""
@@ -163,7 +181,7 @@ def _settle(step: int, h: np.ndarray, run: np.ndarray, doc: np.ndarray, place: n
 
 
 def _emit(step: int, length: int, id_at: int, text_at: int, lists_at: int):
-    """Rows of the steps: 1 representatives, 2 runs (h is the representative), 3 windows."""
+    """Rows of the steps: 1 representatives, 2 parts of runs (h is the common window), 3 windows."""
     rows_at_once = 3_000_000
 
     def of_chunk(chunk: _Chunk, batch: pa.RecordBatch, i: int, j: int) -> list[tuple[np.ndarray, ...]]:
@@ -179,7 +197,10 @@ def _emit(step: int, length: int, id_at: int, text_at: int, lists_at: int):
             seen[at] = True
             open_ = seen[stand] if len(stand) else np.zeros(0, bool)
             start, row, stand, size = start[open_], row[open_], stand[open_], size[open_]
-            return [(grams[stand], chunk.run_hashes(start, stand, size), row, chunk.places(start, row, size), np.zeros(len(start), np.int32))] if len(start) else []
+            if not len(start):
+                return []
+            core, whole, row, start, size = chunk.parts(start, row, stand, size)
+            return [(core, whole, row, chunk.places(start, row, size), np.zeros(len(start), np.int32))]
         out = []
         windows = None
         for column, kind in ((lists_at, _NORMAL), (lists_at + 1, _EVIDENCE)):
@@ -187,7 +208,7 @@ def _emit(step: int, length: int, id_at: int, text_at: int, lists_at: int):
             if len(at):
                 windows = chunk.window_hashes() if windows is None else windows
                 starts, row = K.ranges(at, many), np.repeat(row, many)
-                out.append((windows[starts], np.zeros(len(starts), np.uint64), row, chunk.places(starts, row, 1), np.full(len(starts), kind, np.int32)))
+                out.append((windows[starts], chunk.span_hashes(starts, np.full(len(starts), length), np.zeros(len(starts), np.int64)), row, chunk.places(starts, row, 1), np.full(len(starts), kind, np.int32)))
         return out
 
     def flush(parts: list[tuple[np.ndarray, ...]]) -> pa.RecordBatch:
@@ -243,8 +264,8 @@ def removed_places(docs: DataFrame, length: int) -> DataFrame:
     lists = runs.groupBy("doc").agg(*[F.collect_list(F.when(F.col("state") == x, F.col("place"))).alias(x) for x in ("open", "evidence", "done")])
 
     told = docs.join(lists, docs["doc_id"] == lists["doc"]).select(*own, "open", "evidence", "done")
-    windows = told.mapInArrow(_emit(3, length, id_at, text_at, len(names)), _ROWS).select("h", "doc", "place", "kind")
-    windows = windows.withColumn("least", F.min("doc").over(by)).where(f"kind = {_SURE} OR (kind = {_NORMAL} AND doc > least)")
+    windows = told.mapInArrow(_emit(3, length, id_at, text_at, len(names)), _ROWS)
+    windows = windows.withColumn("least", F.min("doc").over(Window.partitionBy("h", "run"))).where(f"kind = {_SURE} OR (kind = {_NORMAL} AND doc > least)")
     places = windows.groupBy("doc").agg(F.collect_list("place").alias("places")).withColumnRenamed("doc", "doc_w")
     out = docs.join(lists, docs["doc_id"] == lists["doc"], "left").join(places, docs["doc_id"] == F.col("doc_w"), "left")
     return out.select(*own, *lists_of).unionByName(unnamed)
