@@ -16,9 +16,9 @@
    of pairs.  This settles families of near copies.
 4. What is left are pairs of different components that share a key and are near
    enough in size.  An R-tree over the points of a key prunes all that can't
-   reach the threshold.  Boxes have GROUPS coordinates; pairs of points are
-   compared on finer groups, of which large sets have more.  Keys with many
-   documents are dealt out as blocks of bounded size.
+   reach the threshold.  Points have about as many groups as shingles; in a tree
+   all have those of its smallest set.  Keys with many documents are dealt out as
+   blocks of bounded size.
 5. Pairs that survive are verified on whole sets.
 """
 
@@ -38,9 +38,8 @@ from .common import connected, stash, text_column
 SHINGLE = 5
 #: Links need 100 * intersection >= PERCENT * union.
 PERCENT = 75
-GROUPS = 256
-#: Groups of the points: of sets up to LARGE shingles, and of larger ones.
-FINE, FINER, LARGE = 512, 8192, 2000
+#: Groups of a point: the power of two from the size of the set on, within these.  About one shingle a group tells unrelated texts apart.
+LEAST_GROUPS, MOST_GROUPS = 256, 8192
 _WIDE = 255
 #: Cells of the sketch of word counts, and what a task's cell must exceed, in means, to be told.
 SKETCH_BITS, SKETCH_TIMES = 18, 2
@@ -116,7 +115,7 @@ def count_vectors(h: np.ndarray, bounds: np.ndarray) -> list[bytes]:
     """For each row a byte for each hash group, its count; _WIDE stands for that or more."""
     out = []
     for a, b in zip(bounds.tolist(), bounds[1:].tolist()):
-        groups = FINE if b - a <= LARGE else FINER
+        groups = min(max(1 << max(b - a - 1, 0).bit_length(), LEAST_GROUPS), MOST_GROUPS)
         cell = (h[a:b] >> np.uint64(64 - groups.bit_length() + 1)).astype(np.int64)
         out.append(np.minimum(np.bincount(cell, minlength=groups), _WIDE).astype(np.uint8).tobytes())
     return out
@@ -146,12 +145,12 @@ def prefix_size(n: np.ndarray) -> np.ndarray:
     return np.where(n > 0, n - -(-n * PERCENT // 100) + 1, 0)
 
 
-_INFO = "doc long, n long, f1 long, f2 long, vec binary, box binary, cell long, cell_count long"
+_INFO = "doc long, n long, f1 long, f2 long, vec binary, cell long, cell_count long"
 
 
 def _info(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     sketch, total = np.zeros(SKETCH_CELLS, np.int64), 0
-    names = ["doc", "n", "f1", "f2", "vec", "box", "cell", "cell_count"]
+    names = ["doc", "n", "f1", "f2", "vec", "cell", "cell_count"]
     for batch in batches:
         for i, j, data, offsets in K.byte_chunks(batch.column(1)):
             words, first = _words(data, offsets)
@@ -161,12 +160,11 @@ def _info(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             sketch += np.bincount(_cells(words), minlength=SKETCH_CELLS)
             total += len(words)
             none = pa.nulls(j - i, pa.int64())
-            box = [np.minimum(_folded(_counts(v), GROUPS), _WIDE).astype(np.uint8).tobytes() for v in vec]
-            yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, j - i), pa.array(np.diff(bounds)), pa.array(f1), pa.array(f2), pa.array(vec, pa.binary()), pa.array(box, pa.binary()), none, none], names)
+            yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, j - i), pa.array(np.diff(bounds)), pa.array(f1), pa.array(f2), pa.array(vec, pa.binary()), none, none], names)
     often = np.flatnonzero(sketch > 8 + SKETCH_TIMES * total / SKETCH_CELLS)
     if len(often):
         none = pa.nulls(len(often), pa.int64())
-        yield pa.RecordBatch.from_arrays([none, none, none, none, pa.nulls(len(often), pa.binary()), pa.nulls(len(often), pa.binary()), pa.array(often), pa.array(sketch[often])], names)
+        yield pa.RecordBatch.from_arrays([none, none, none, none, pa.nulls(len(often), pa.binary()), pa.array(often), pa.array(sketch[often])], names)
 
 
 def _prefix_keys(levels, heavy=None):
@@ -271,7 +269,7 @@ _CLASS_BASE = 1.005 * 100 / PERCENT
 
 
 def _block_pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Candidate pairs of rows (key, size_class, block, doc, own, n, comp, box) that come sorted by block.
+    """Candidate pairs of rows (key, size_class, block, doc, own, n, comp, vec) that come sorted by block.
 
     Rows that aren't of the block's own size class only meet those that are, and rows of the key's home component only others.
     """
@@ -287,13 +285,14 @@ def _block_pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             cut = cut[:-1]
         found = []
         doc, n, comp, mine = (table.column(c).to_numpy() for c in ("doc", "n", "comp", "own"))
-        box = table.column("box").combine_chunks()
+        vec = table.column("vec")
         for a, b in zip(cut, cut[1:]):
             comps = comp[a:b]
             if b - a < 2 or (comps == comps[0]).all() or not mine[a:b].any():
                 continue
-            points = K.utf8_rows(box.slice(a, b - a))[0].reshape(b - a, GROUPS).astype(np.int32)
-            points[points == _WIDE] = 1 << 20
+            raw = [_counts(v.as_py()) for v in vec.slice(a, b - a)]
+            groups = min(map(len, raw))
+            points = np.stack([np.minimum(_folded(x, groups), 1 << 20) for x in raw]).astype(np.int32)
             for x, y in CountVectorTree(n[a:b], points).pairs():
                 keep = (comps[x] != comps[y]) & (mine[a:b][x] | mine[a:b][y])
                 x, y = doc[a:b][x[keep]], doc[a:b][y[keep]]
@@ -434,7 +433,7 @@ def ngram_components(docs: DataFrame) -> DataFrame:
     rows = rows.join(cells, ["key", "size_class"]).join(home, "key", "left")
     dealt = F.array(F.pmod(F.xxhash64(F.lit(3), "doc"), F.col("parts").cast("long")).cast("int"))
     rows = rows.withColumn("block", F.explode(F.when(F.col("comp") == F.col("home"), dealt).otherwise(F.sequence(F.lit(0), F.col("parts") - 1))))
-    rows = rows.join(named.select("doc", "n", "box"), ["doc", "n"]).select("key", "size_class", "block", "doc", "own", "n", "comp", "box")
+    rows = rows.join(named.select("doc", "n", "vec"), ["doc", "n"]).select("key", "size_class", "block", "doc", "own", "n", "comp", "vec")
     near = rows.repartition("key", "size_class", "block").sortWithinPartitions("key", "size_class", "block").mapInArrow(_block_pairs, _PAIRS).distinct()
     near = stash(_reached(near.join(led, ["a", "b"], "left_anti"), named))
     links = links.union(_verified(texts, near))
