@@ -292,10 +292,8 @@ class BpeModel:
             texts = pa.Array.from_buffers(pa.large_string(), last - first, [None, pa.py_buffer(offsets.astype(np.int64).tobytes()), pa.py_buffer(data.tobytes())])
             low, low_offsets = K.utf8_rows(pc.utf8_lower(pc.if_else(pa.array(fast), texts, "")))
             starts, ends = self._pieces(low, low_offsets)
-            code, unique = pd.factorize(K.span_hash(K.prefix_hash(low), starts, ends))
-            where = np.zeros(len(unique), np.int64)
-            where[code[::-1]] = np.arange(len(code))[::-1]
             raw = low.tobytes()
+            code, where = _distinct(low, raw, starts, ends)
             memo = self.words_ids([raw[s:e] for s, e in zip(starts[where].tolist(), ends[where].tolist())])
             sizes = np.array([len(m) for m in memo], np.int64)
             flat = np.concatenate(memo) if memo else np.zeros(0, np.uint32)
@@ -315,6 +313,27 @@ class BpeModel:
         return out[:-1]
 
 
+def _distinct(data: np.ndarray, raw: bytes, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The number of each piece among the distinct ones, and where each of these is first found.
+
+    Pieces are told apart by hashes; then each is held against the first of its number, so clashes can't go unseen.
+    """
+    code, unique = pd.factorize(K.span_hash(K.prefix_hash(data), starts, ends))
+    where = np.zeros(len(unique), np.int64)
+    where[code[::-1]] = np.arange(len(code))[::-1]
+    size, first = ends - starts, where[code]
+    same = (size == size[first]).all()
+    if same:
+        later = np.flatnonzero(first != np.arange(len(first)))
+        at = K.ranges(starts[later], size[later])
+        same = (data[at] == data[at + np.repeat(starts[first[later]] - starts[later], size[later])]).all()
+    if not same:
+        code, _ = pd.factorize(np.array([raw[s:e] for s, e in zip(starts.tolist(), ends.tolist())], object))
+        where = np.zeros(code.max() + 1, np.int64)
+        where[code[::-1]] = np.arange(len(code))[::-1]
+    return code, where
+
+
 _models: dict[str, BpeModel] = {}
 
 
