@@ -15,7 +15,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import kernels as K
@@ -135,7 +135,10 @@ def fit(counts: np.ndarray, languages: list[str], steps: int = 150) -> LanguageM
 
 
 def train(docs: DataFrame, sample_rows: int = SAMPLE_ROWS) -> LanguageModel | None:
-    """Fits a model on at most ``sample_rows`` rows with a language and some text; None if there is none."""
+    """Fits a model on at most ``sample_rows`` rows, or one for each language, with a language and a text of over 20 characters; None if there is none.
+
+    Every language has the same room, so a rare one keeps its rows however many languages there are.
+    """
     known = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & (F.length("text") > 20)).select("doc_id", "lang", "text")
     sizes = {r["lang"]: r["n"] for r in known.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).collect()}
     if not sizes:
@@ -145,7 +148,9 @@ def train(docs: DataFrame, sample_rows: int = SAMPLE_ROWS) -> LanguageModel | No
     for name, n in sizes.items():
         bar = F.when(F.col("lang") == name, F.lit(min(1.0, 1.1 * each / n))).otherwise(bar)
     order = F.pmod(F.xxhash64("doc_id", F.lit(11)), F.lit(1 << 30))
-    picked = known.withColumn("order", order).where(F.col("order") < bar * (1 << 30)).orderBy("order", "doc_id").limit(sample_rows)
+    # Few rows pass the bar; of these, each language keeps its own first ones.
+    picked = known.withColumn("order", order).where(F.col("order") < bar * (1 << 30))
+    picked = picked.withColumn("place", F.row_number().over(Window.partitionBy("lang").orderBy("order", "doc_id"))).where(F.col("place") <= each)
     rows = picked.select("text", "lang").toArrow()
     counts = []
     for _, _, data, offsets in K.byte_chunks(rows.column("text")):
