@@ -4,8 +4,9 @@ Deficit round-robin: in a block of documents each source has a queue.  Every
 window gives each source its share of the window's tokens plus what it was owed
 before; what a source can't deliver goes to the others and stays owed.  Debts go
 on from window to window, and from block to block: a first pass counts the
-tokens of each (block, source), and a running sum over the blocks before gives
-the debts with which a block starts, so blocks are packed independently.
+tokens of each (block, source), and running sums over the blocks before, with
+and without the source, give the debts with which a block starts, so blocks are
+packed independently.
 
 Documents are dealt to blocks by a hash of their id, so a source that has a
 third of all rows is spread evenly.  The tokens left at a block's end are cut
@@ -31,6 +32,8 @@ WINDOW = 4096
 END_ID = 2
 #: Tokens of a block, about.
 BLOCK_TOKENS = 1 << 20
+#: Blocks of a run, for running sums in two steps.
+_RUN = 4096
 
 _TOKENS = "doc_id long, source string, slot long, n long, ids binary"
 _PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, source string"
@@ -158,6 +161,18 @@ def _pack(width: int, kind: str):
     return run
 
 
+def _sums_before(counts: DataFrame) -> DataFrame:
+    """Adds to (block, source, n) the sum ``before`` of n over the source's smaller blocks, by runs of blocks and then within them."""
+    counts = counts.withColumn("run", F.floor(F.col("block") / _RUN))
+    runs = counts.groupBy("source", "run").agg(F.sum("n").alias("m"))
+    earlier = Window.partitionBy("source").orderBy("run").rowsBetween(Window.unboundedPreceding, -1)
+    runs = runs.select(F.col("source").alias("of"), "run", F.coalesce(F.sum("m").over(earlier), F.lit(0)).alias("base"))
+    within = Window.partitionBy("source", "run").orderBy("block").rowsBetween(Window.unboundedPreceding, -1)
+    counts = counts.withColumn("inside", F.coalesce(F.sum("n").over(within), F.lit(0)))
+    both = counts.join(runs.withColumnRenamed("run", "of_run"), F.col("source").eqNullSafe(F.col("of")) & (F.col("run") == F.col("of_run")))
+    return both.select("block", "source", "n", (F.col("base") + F.col("inside")).alias("before"))
+
+
 def pack(docs: DataFrame, width: int = WINDOW, target: dict[str, float] | None = None, tokenizer_path: str | None = None, block_tokens: int = BLOCK_TOKENS) -> DataFrame:
     """One row for each piece of a document in a sequence.
 
@@ -188,10 +203,11 @@ def pack(docs: DataFrame, width: int = WINDOW, target: dict[str, float] | None =
         whole = sum(target.values())
         wanted = spark.createDataFrame([(s, v / whole) for s, v in target.items()], "source string, share double")
         shares = by_source.join(wanted, "source", "left").select("source", F.coalesce("share", F.lit(0.0)).alias("share"))
-    sizes = counts.groupBy("block").agg(F.sum("n").alias("size"))
-    grid = counts.join(sizes, "block").join(shares, "source")
-    before = Window.partitionBy("source").orderBy("block").rowsBetween(Window.unboundedPreceding, -1)
-    debts = grid.select("block", "source", "share", F.coalesce(F.sum(F.col("size") * F.col("share") - F.col("n")).over(before), F.lit(0.0)).alias("owed"))
+    # A source is owed its share of all tokens in the blocks before, those without it too, less what it had there.
+    grid = _sums_before(counts.unionByName(counts.groupBy("block").agg(F.sum("n").alias("n")).withColumn("source", F.lit(None).cast("string"))))
+    sizes = grid.where("source IS NULL").select("block", F.col("before").alias("size"))
+    grid = grid.where("source IS NOT NULL").join(sizes, "block").join(shares, "source")
+    debts = grid.select("block", "source", "share", (F.col("size") * F.col("share") - F.col("before")).alias("owed"))
 
     heads = debts.select("block", F.lit(False).alias("is_doc"), "source", F.lit(None).cast("long").alias("doc_id"), F.lit(None).cast("binary").alias("ids"), "share", "owed")
     bodies = tokens.select("block", F.lit(True).alias("is_doc"), "source", "doc_id", "ids", F.lit(None).cast("double").alias("share"), F.lit(None).cast("double").alias("owed"))
