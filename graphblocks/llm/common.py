@@ -15,6 +15,8 @@ def shared_dir(spark: SparkSession) -> str:
     conf = spark.sparkContext.getConf()
     at = conf.get("spark.checkpoint.dir") or spark.sparkContext.getCheckpointDir()
     if not at:
+        if not spark.sparkContext.master.startswith("local["):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         at = "file://" + tempfile.mkdtemp(prefix="graphblocks-")
         spark.sparkContext.setCheckpointDir(at)
     return at.rstrip("/")
@@ -28,12 +30,22 @@ def stash(df: DataFrame) -> DataFrame:
     return spark.read.schema(df.schema).parquet(at)
 
 
+def unstash(df: DataFrame) -> None:
+    """Deletes the files of a stash that nothing reads any more."""
+    jvm = df.sparkSession._jvm
+    for folder in {f.rsplit("/", 1)[0] for f in df.inputFiles()}:
+        at = jvm.org.apache.hadoop.fs.Path(folder)
+        at.getFileSystem(df.sparkSession._jsc.hadoopConfiguration()).delete(at, True)
+
+
 def connected(links: DataFrame, max_rounds: int = 60) -> DataFrame:
     """(id, component): the smallest id that is reachable by rows (a, b) of ``links``.
 
     Alternating large-star and small-star rounds: each is one grouped minimum
     and one join on a key, so no component is ever gathered in one place, and
-    the number of rounds is logarithmic in a component's diameter.  Ids without
+    the number of rounds is logarithmic in a component's diameter.  The minimum is
+    taken in part before the shuffle, and the join with it can be split by Spark
+    where one id has very many links.  Ids without
     a link have no row.  Null ends are ignored.
     """
     edges = links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u > v").distinct()
@@ -49,7 +61,9 @@ def connected(links: DataFrame, max_rounds: int = 60) -> DataFrame:
         low = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u > v")
         after = stash(small.unionByName(low.select("u", F.col("m").alias("v"))).distinct())
-        before, told, edges = told, _signature(after), after
+        before, told = told, _signature(after)
+        unstash(edges)
+        edges = after
         if told == before:
             break
     else:
