@@ -1,7 +1,10 @@
 """A training corpus from ``documents``: five stages, each over all that the one before kept.
 
 A stage is f(spark, docs, sf_dir); all but the last return the columns of
-documents, with ``n_chars`` brought up to date where they change texts.
+documents, with ``n_chars`` brought up to date where they change texts.  In all
+of them a null doc_id is kept as it is and stands for nothing else, repeated rows
+are rows of their own unless a stage says otherwise, columns besides those of
+documents go, and no rows give no rows.
 """
 
 from __future__ import annotations
@@ -20,25 +23,40 @@ def _documents(df: DataFrame) -> DataFrame:
 
 
 def keep_known_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Drops documents without a letter; the identifier is fitted on a bounded sample of rows that name their language."""
+    """Documents with a letter whose nearest codeword is clear stay; null, empty and letterless texts and ambiguous ones go.
+
+    The classifiers learn from a bounded sample of rows that name their language.
+    Where no row does, there is no model, and every text with a letter stays.
+    """
     model = language_id.train(docs)
+    if model is None:
+        return docs.where(F.col("text").rlike(r"\p{L}")).select(*COLUMNS)
     found = language_id.identify(docs, model)
-    return found.where(F.col("lang_pred") != language_id.UNKNOWN).select(*COLUMNS)
+    return found.where((F.col("lang_pred") != language_id.UNKNOWN) & ~F.col("ambiguous")).select(*COLUMNS)
 
 
 def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return _documents(line_dedup.line_dedup(docs.select(*COLUMNS), "edit"))
+    """Of lines that are alike the first by (doc_id, number) stays; documents that have no letter or digit left go, as all they had is elsewhere.
+
+    A null text has no lines and stays null.
+    """
+    out = line_dedup.line_dedup(docs.select(*COLUMNS), "blocks")
+    emptied = (F.col("n_removed") > 0) & ~F.col("text").rlike(r"[\p{L}\p{N}]")
+    return _documents(out.where(~F.coalesce(emptied, F.lit(False))))
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Of documents linked by their 5-word shingles (similarity 0.75) the one with the smallest doc_id stays; texts without words are linked with nothing."""
     return jaccard_join.keep_representatives(docs.select(*COLUMNS)).select(*COLUMNS)
 
 
 def drop_repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Words covered by 13-word windows that also start in a document with a smaller doc_id go; what stays is joined by spaces, and a null text becomes empty."""
     return _documents(substring_dedup.substring_dedup(docs.select(*COLUMNS)))
 
 
 def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Every token of every document in one piece of a sequence; texts without tokens have the end id alone, a null source is ''."""
     return packing.pack(docs)
 
 
@@ -50,7 +68,7 @@ STAGES = [
     ("packing", pack_sequences),
 ]
 
-#: Language scores, SimHash groups and token ids can't be told in SQL; tests hold the stages against brute force.
+#: Language scores, groups of alike lines and token ids can't be told in SQL; tests hold the stages against brute force.
 ORACLE_SQL = None
 
 
