@@ -216,3 +216,19 @@ def expected_time(times: list[float], limit: float, from_first: bool = True) ->
                 break
         total += before
     return total / len(orders)
+
+
+def component_effect(runs: DataFrame, base: str, p: int) -> DataFrame:
+    """(component, percent): how the geometric mean cut changes against the runs in which no component is parallel."""
+    g = instances(runs.where(F.col("p") == p)).groupBy("algo").agg(F.exp(F.avg(F.ln("cut"))).alias("x"))
+    ground = g.where(F.col("algo") == base).select(F.col("x").alias("y"))
+    return g.where(F.col("algo") != base).crossJoin(F.broadcast(ground)).select(F.col("algo").alias("component"), F.round((F.col("x") / F.col("y") - 1) * 100, 4).alias("percent"))
+
+
+def phase_speedup(runs: DataFrame) -> DataFrame:
+    """(algo, p, search, other): harmonic mean speed-ups of local search and of all other phases over balanced instances."""
+    i = instances(runs).where("NOT imbalanced")
+    one = i.where("p = 1").select("graph", "k", "algo", F.col("t_ls").alias("a_ls"), (F.col("t_total") - F.col("t_ls")).alias("a_rest"))
+    x = i.where("p > 1").join(one, ["graph", "k", "algo"])
+    x = x.select("algo", "p", (F.col("a_ls") / F.col("t_ls")).alias("search"), (F.col("a_rest") / (F.col("t_total") - F.col("t_ls"))).alias("other"))
+    return x.groupBy("algo", "p").agg(harm_mean(F.col("search")).alias("search"), harm_mean(F.col("other")).alias("other"))
