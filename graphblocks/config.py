@@ -14,9 +14,9 @@ class PartitionConfig:
     coarsening: str = "cluster"
     sequential_lp: bool = False
     quota: bool = False
-    cluster_factor: int = 14
-    coarsest_min: int = 200
-    coarsest_per_block: int = 60
+    cluster_factor: int = 5
+    coarsest_min: int = 100
+    coarsest_per_block: int = 20
     min_shrink: float = 0.05
     max_levels: int = 40
     lp_rounds_coarsen: int = 10
@@ -26,6 +26,8 @@ class PartitionConfig:
     packet: int | None = None
     trials: int = 4
     growth_starts: int = 4
+    #: Starts are polished by flows between blocks; ``flow`` does so on every level too.
+    flow_start: bool = False
     flow: bool = False
     #: lp+mts, lp, mts, fm, hill or greedy.
     refiner: str = "lp+mts"
@@ -50,7 +52,7 @@ class PartitionConfig:
 
 
 PRESETS: dict[str, PartitionConfig] = {
-    "full": PartitionConfig(),
+    "full": PartitionConfig(sub_rounds=16, growth_starts=8, flow_start=True),
     "seq_lp": PartitionConfig(preset="seq_lp", sequential_lp=True, refiner="lp", parallel=frozenset()),
     "dist_lp": PartitionConfig(preset="dist_lp", quota=True, lp_rounds_coarsen=3, lp_rounds_refine=6, refiner="lp"),
     "matching": PartitionConfig(preset="matching", coarsening="matching", refiner="hill"),

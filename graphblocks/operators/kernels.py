@@ -504,9 +504,6 @@ class ProbeTable:
             self.key[at] = key
         self.value[at] = value
 
-    def __delitem__(self, key: int) -> None:
-        raise NotImplementedError("a search only adds; it starts with a new table")
-
     def items(self):
         return [(k, v) for k, v in zip(self.key.tolist(), self.value.tolist()) if k >= 0]
 
@@ -713,24 +710,70 @@ def own_balls(csr: Csr, buckets: list[list[int]], seed: int, radius: int = 1 <<
     return owner
 
 
-def hill_climb(csr: Csr, block: np.ndarray, k: int, bound: int, p: int, seed: int, rounds: int = 8) -> np.ndarray:
-    """The rival's refinement: batches of moves decided on old blocks, more of them at once with more PEs; balance and cut may suffer."""
+def _hill(csr: Csr, block: np.ndarray, load: np.ndarray, bound: int, v: int, most: int) -> tuple[list[int], int, int]:
+    """(vertices, target, gain): a connected set around v in its block whose joint move to v's best other block pays, or no vertices.
+
+    The set grows by the vertex that adds most to the gain of the joint move, as far as ``most`` vertices.
+    """
+    own = int(block[v])
+    a, b = csr.indptr[v], csr.indptr[v + 1]
+    ties = np.bincount(block[csr.nbr[a:b]], csr.w[a:b], len(load))
+    ties[own] = -1
+    target = int(ties.argmax())
+    if ties[target] <= 0:
+        return [], own, 0
+    hill, inside, total, weight = [], set(), 0, 0
+    # What the joint move would gain if the vertex joined: its ties to the target and the hill less those to the rest of its block.
+    reach: dict[int, int] = {v: 0}
+    while reach and len(hill) < most:
+        best, best_gain = -1, None
+        for u, shared in reach.items():
+            a, b = csr.indptr[u], csr.indptr[u + 1]
+            at, w = block[csr.nbr[a:b]], csr.w[a:b]
+            gain = int(w[at == target].sum()) - int(w[at == own].sum()) + 2 * shared
+            if best_gain is None or gain > best_gain:
+                best, best_gain = u, gain
+        if load[target] + weight + csr.vw[best] > bound:
+            break
+        hill.append(best)
+        inside.add(best)
+        del reach[best]
+        total += best_gain
+        weight += int(csr.vw[best])
+        if total > 0:
+            return hill, target, total
+        for x in range(csr.indptr[best], csr.indptr[best + 1]):
+            u = int(csr.nbr[x])
+            if block[u] == own and u not in inside and (u in reach or len(reach) < 4 * most):
+                reach[u] = reach.get(u, 0) + int(csr.w[x])
+    return [], own, 0
+
+
+def hill_climb(csr: Csr, block: np.ndarray, k: int, bound: int, p: int, seed: int, rounds: int = 8, most: int = 16) -> np.ndarray:
+    """The rival's refinement: PEs move vertices, or hills of up to ``most`` that pay together, each on its own copy of the blocks and weights.
+
+    PEs don't see each other's moves of a round, so the balance may break and the cut may rise.
+    """
     block = block.copy()
     rng = np.random.default_rng(seed)
-    batches = max(1, -(-16 // p))
-    for r in range(rounds):
+    for _ in range(rounds):
         rim = boundary(csr, block)
         if not len(rim):
             break
-        gained = 0
-        for part in np.array_split(rng.permutation(rim), batches):
-            load = np.bincount(block, csr.vw, k)
-            flag = np.zeros(csr.n, bool)
-            flag[part] = True
-            v, t, gain = strongest(csr, block, flag, load, bound, seed + r, np.arange(k), True)
-            block[v] = t
-            gained += int(gain.sum())
-            # A hill: a few pairs of tied vertices move though it costs at first.
+        gained, merged = 0, block.copy()
+        for part in np.array_split(rng.permutation(rim), p):
+            mine, load = block.copy(), np.bincount(block, csr.vw, k).astype(np.int64)
+            for v in part.tolist():
+                hill, target, gain = _hill(csr, mine, load, bound, v, most)
+                if hill:
+                    own, weight = int(mine[v]), int(csr.vw[hill].sum())
+                    mine[hill] = target
+                    load[own] -= weight
+                    load[target] += weight
+                    gained += gain
+            changed = mine != block
+            merged[changed] = mine[changed]
+        block = merged
         if gained <= 0:
             break
     return block

@@ -86,7 +86,7 @@ def one_trial(csr: Csr, k: int, bound: int, seed: int, cfg: PartitionConfig) ->
     block = kernels.rebalance(csr, block, k, bound)
     block = kernels.sclp(csr, bound, 5, 2, seed, block, k, keep_best=True)
     block = kernels.fm(csr, block, np.full(k, bound), rng, 2)
-    if cfg.flow:
+    if cfg.flow or cfg.flow_start:
         block = kernels.flow_all_pairs(csr, block, bound)
     if np.bincount(block, csr.vw, k).max(initial=0) <= bound:
         block = kernels.swap_polish(csr, block, k, bound)

@@ -27,14 +27,14 @@ from .multilevel import best_of_runs, floor_blocks, greedy_stream, partition_csr
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
 SQL: dict[str, str] = {}
-#: Graphs in arrays and run logs, by (folder, graph or workload): tables don't change under a session.
+#: Graphs in arrays and run logs of a session, by (application, folder, graph or workload): tables don't change under it.
 _graphs: dict[tuple, Csr] = {}
-_logs: dict[tuple, pd.DataFrame] = {}
+_logs: dict[tuple, DataFrame] = {}
 LIMIT = 4_000_000
 
 
 def csr_of(spark: SparkSession, d: str, name: str) -> Csr:
-    key = (d, name)
+    key = (spark.sparkContext.applicationId, d, name)
     if key not in _graphs:
         csr = collect_csr(GRAPHS[name](spark, d).stored(), LIMIT)
         if csr is None:
@@ -161,41 +161,88 @@ SQL["i_zero_cut_paths"] = "SELECT unnest([2, 4]) AS k, 0::BIGINT AS cut"
 # -- run logs ---------------------------------------------------------------------
 
 VARIANTS = {"full": config(), "seq": config("seq_lp"), "dist": config("dist_lp"), "match": config("matching")}
-
-
-def runs(spark: SparkSession, d: str, graphs: dict[str, Csr], ks, variants: dict[str, PartitionConfig], ps=(1, 4), seeds=2, eps: float = 0.03, log: str | None = None) -> DataFrame:
-    """The log of all runs, one row each; ``log`` names it for reuse in the session."""
-    if log is None or (d, log) not in _logs:
-        rows = []
-        for name, csr in graphs.items():
-            for k in ks:
-                for algo, cfg in variants.items():
-                    for p in (1,) if cfg.preset == "seq_lp" else ps:
-                        for seed in range(seeds):
-                            block, r = partition_csr(csr, k, eps, p, seed, cfg, spark)
-                            load = np.bincount(block, csr.vw, k).astype(np.int64)
-                            bound = M.l_max(int(csr.vw.sum()), k, eps)
-                            rows.append((name, "M" if name in MESHES or name.startswith("grid") else "C", k, algo, p, seed, csr.n, len(csr.nbr) // 2, csr.cut(block), int(load.max()), bound, bool(load.max() > bound), r["t_total"], r["t_coarsen"], r["t_init"], r["t_refine"], r["t_ls"], int(r["bytes"]), int(r.get("tried", 0)), int(r.get("applied", 0)), len(r["levels"]), int(r["levels"][-1][0]), int(r.get("probes", 0)), int(r.get("lookups", 0))))
-        names = "graph graph_type k algo p seed n m cut max_block l_max imbalanced t_total t_coarsen t_init t_refine t_ls peak_bytes tried applied levels coarsest probes lookups".split()
-        table = pd.DataFrame(rows, columns=names)
-        if log is None:
-            return spark.createDataFrame(table)
-        _logs[d, log] = table
-    return spark.createDataFrame(_logs[d, log])
+_RUN = "graph string, graph_type string, k int, algo string, p int, seed int, n long, m long, cut long, max_block long, l_max long, imbalanced boolean, t_total double, t_coarsen double, t_init double, t_refine double, t_ls double, peak_bytes long, tried long, applied long, levels int, coarsest long, probes long, lookups long"
+
+
+def runs(spark: SparkSession, d: str, graphs: dict[str, Csr], ks, variants: dict[str, PartitionConfig], ps=(1, 4), seeds=2, eps: float = 0.03, log: str | None = None, memory: bool = False) -> DataFrame:
+    """The log of all runs, one row and one task each; ``log`` names it for reuse in the session.
+
+    Graphs go to the tasks by broadcast; ``csr_of`` bounds their size.  With ``memory`` the peak is what a run has
+    allocated at most at one time, traced; else the arrays of its levels.
+    """
+    key = (spark.sparkContext.applicationId, d, log)
+    if log is not None and key in _logs:
+        return _logs[key]
+    jobs = [(name, k, algo, p, seed) for name in graphs for k in ks for algo, cfg in variants.items() for p in ((1,) if cfg.preset == "seq_lp" else ps) for seed in range(seeds)]
+    shipped = spark.sparkContext.broadcast((graphs, variants))
+
+    def work(parts):
+        import tracemalloc
+
+        for pdf in parts:
+            rows = []
+            for name, k, algo, p, seed in pdf[["graph", "k", "algo", "p", "seed"]].itertuples(index=False):
+                csr, cfg = shipped.value[0][name], shipped.value[1][algo]
+                if memory:
+                    tracemalloc.start()
+                block, r = partition_csr(csr, k, eps, p, seed, cfg)
+                if memory:
+                    r["bytes"] = tracemalloc.get_traced_memory()[1]
+                    tracemalloc.stop()
+                load = np.bincount(block, csr.vw, k).astype(np.int64)
+                bound = M.l_max(int(csr.vw.sum()), k, eps)
+                kind = "M" if name in MESHES or name.startswith("grid") else "C"
+                rows.append((name, kind, k, algo, p, seed, csr.n, len(csr.nbr) // 2, csr.cut(block), int(load.max()), bound, bool(load.max() > bound), r["t_total"], r["t_coarsen"], r["t_init"], r["t_refine"], r["t_ls"], int(r["bytes"]), int(r.get("tried", 0)), int(r.get("applied", 0)), len(r["levels"]), int(r["levels"][-1][0]), int(r.get("probes", 0)), int(r.get("lookups", 0))))
+            yield pd.DataFrame(rows, columns=[c.split()[0] for c in _RUN.split(", ")])
+
+    order = sorted(jobs, key=lambda j: -len(graphs[j[0]].nbr))  # long runs first
+    rows = spark.createDataFrame([(i, *j) for i, j in enumerate(order)], "i long, graph string, k int, algo string, p int, seed int")
+    spread = rows.repartitionByRange(min(len(jobs), 4 * spark.sparkContext.defaultParallelism), F.expr("pmod(xxhash64(i), 1000003)"))
+    out = stash(spread.mapInPandas(work, _RUN))
+    if log is not None:
+        _logs[key] = out
+    return out
 
 
 def _arrays(spark: SparkSession, g) -> Csr:
     return collect_csr(g, LIMIT)
 
 
+#: The table graphs of the quality experiment; ends of both kinds, sparse and dense, complex and mesh.
+W1_TABLES = ("page_links", "emb_rgg", "conv_path", "user_key", "nation_trade")
+
+
 def w1_graphs(spark: SparkSession, d: str) -> dict[str, Csr]:
-    return {"emb_rgg": csr_of(spark, d, "emb_rgg"), "grid": _arrays(spark, Gen.grid(spark, 16, 16)), "planted": _arrays(spark, Gen.planted(spark, 4, 60, 0.2, 0.02))}
+    made = {"grid": Gen.grid(spark, 24, 24), "grid_torus": Gen.grid(spark, 20, 20, wrap=True), "rhg": Gen.gen_rhg(spark, 600), "planted": Gen.planted(spark, 8, 50, 0.2, 0.01)}
+    return {n: csr_of(spark, d, n) for n in W1_TABLES} | {n: _arrays(spark, g) for n, g in made.items()}
 
 
 def w1_runs(spark: SparkSession, d: str) -> DataFrame:
-    return runs(spark, d, w1_graphs(spark, d), (4,), VARIANTS, (1, 4), 2, log="w1")
+    return runs(spark, d, w1_graphs(spark, d), (4, 16), VARIANTS, (1, 4), 3, log="w1")
+
+
+def _ordering(s: SparkSession, d: str) -> DataFrame:
+    """(rival, full_is_better): at p = 4 the geometric mean cut of the full pipeline against each rival's, over the instances that the rival has balanced runs of.
+
+    Runs beyond the bound of a block don't count, and cuts of zero count as one.
+    """
+    log = w1_runs(s, d).where("NOT imbalanced").withColumn("cut", F.col("cut") + 1).withColumn("p", F.when(F.col("algo") == "seq", 4).otherwise(F.col("p")))
+    inst = E.instances(log.where("p = 4")).select("graph", "k", "algo", "cut")
+    full = inst.where("algo = 'full'").select("graph", "k", F.col("cut").alias("own"))
+    both = inst.where("algo <> 'full'").join(full, ["graph", "k"])
+    return both.groupBy(F.col("algo").alias("rival")).agg((F.avg(F.ln("own")) < F.avg(F.ln("cut"))).alias("full_is_better"))
+
 
+def _balance(s: SparkSession, d: str) -> DataFrame:
+    """(graph, k, n, l_max, kept): whether all runs of the methods that promise it keep to the bound, the graph's size and the bound told by SQL again."""
+    log = w1_runs(s, d).where(F.col("graph").isin(*W1_TABLES) & (F.col("algo") != "match"))
+    return log.groupBy("graph", "k").agg(F.max("n").alias("n"), F.max("l_max").alias("l_max"), F.bool_and(F.col("max_block") <= F.col("l_max")).alias("kept"))
 
+
+QUERIES["w1_ordering"] = _ordering
+SQL["w1_ordering"] = "SELECT unnest(['seq', 'dist', 'match']) AS rival, true AS full_is_better"
+QUERIES["w1_balance"] = _balance
+SQL["w1_balance"] = " UNION ALL ".join(f"SELECT * FROM (WITH {graph_ctes(n)}, c AS (SELECT count(*) AS n FROM v) SELECT '{n}' AS graph, k, n, (103 * ((n + k - 1) // k) // 100)::BIGINT AS l_max, true AS kept FROM c, (SELECT unnest([4, 16]) AS k))" for n in W1_TABLES)
 QUERIES["w1_quality_runs"] = lambda s, d: w1_runs(s, d).select("graph", "k", "algo", "p", "seed", "cut", "imbalanced")
 QUERIES["w1_profile"] = lambda s, d: E.performance_profile(w1_runs(s, d))
 QUERIES["w1_geomean"] = lambda s, d: E.geo_mean_cut(w1_runs(s, d).withColumn("cut", F.col("cut") + 1))
@@ -212,7 +259,7 @@ QUERIES["w5_speedup"] = lambda s, d: E.speedups(w1_runs(s, d).withColumn("t_ls",
 QUERIES["w5_ns_per_edge"] = lambda s, d: E.ns_per_edge(w1_runs(s, d).withColumn("t_ls", F.col("t_ls") + 1e-6))
 
 
-def _axis(name: str, graphs: tuple[str, ...], variants: dict[str, PartitionConfig], ps=(4,), seeds: int = 1, k: int = 4) -> None:
+def _axis(name: str, graphs: tuple[str, ...], variants: dict[str, PartitionConfig], ps=(4,), seeds: int = 3, k: int = 4) -> None:
     def run(s: SparkSession, d: str) -> DataFrame:
         r = runs(s, d, {g: csr_of(s, d, g) for g in graphs}, (k,), variants, ps, seeds, log=name)
         return r.groupBy("graph", "k", "algo", "p").agg(F.round(F.avg("cut"), 3).alias("cut"), F.bool_or("imbalanced").alias("imbalanced"), F.round(F.avg("t_total"), 4).alias("seconds"), F.sum("tried").alias("tried"), F.sum("applied").alias("applied"), F.max("coarsest").alias("coarsest"), F.sum("probes").alias("probes"), F.sum("lookups").alias("lookups"), F.max("peak_bytes").alias("peak_bytes"))
@@ -220,31 +267,48 @@ def _axis(name: str, graphs: tuple[str, ...], variants: dict[str, PartitionConfi
     QUERIES[name] = run
 
 
-_axis("w6_component", ("emb_rgg",), {"none": config(parallel=frozenset()), **{c: config(parallel=frozenset({c})) for c in ("coarsen", "init", "refine")}}, (16,))
-_axis("w9_by_type", ("emb_rgg",), VARIANTS)
-_axis("w10_star_shrink", ("doc_source",), {"cluster": config(max_levels=1), "matching": config("matching", max_levels=1), "two_hop": config("matching", two_hop=True, max_levels=1)})
-_axis("w11_p_sweep", ("emb_rgg",), {"full": config()}, (1, 16, 31))
-_axis("w12_rounds", ("emb_rgg",), {f"rounds_{r}": config(global_rounds=r) for r in (0, 1, 3, 6)})
-_axis("w13_alpha", ("emb_rgg",), {f"alpha_{a:g}": config(alpha=a) for a in (0.0, 0.1, 0.5, 1e9)})
-_axis("w14_tables", ("emb_rgg",), {s: config(store=s) for s in ("array", "dict", "probe", "probe_local")}, seeds=1)
-_axis("gain_modes", ("emb_rgg",), {m: config(gain_mode=m) for m in ("recompute", "incremental")}, seeds=1)
+#: A complex network and a mesh for the experiments on parameters.
+_BOTH = ("page_links", "emb_rgg")
+
+
+def _components(s: SparkSession, d: str) -> DataFrame:
+    """(component, percent): how the geometric mean cut changes when that phase alone runs with 16 PEs."""
+    variants = {"none": config(parallel=frozenset()), **{c: config(parallel=frozenset({c})) for c in ("coarsen", "init", "refine")}}
+    r = runs(s, d, {g: csr_of(s, d, g) for g in _BOTH}, (16,), variants, (16,), 3, log="w6_component")
+    return E.component_effect(r.withColumn("cut", F.col("cut") + 1), "none", 16)
+
+
+def _by_type(s: SparkSession, d: str) -> DataFrame:
+    log = w1_runs(s, d).withColumn("cut", F.col("cut") + 1).withColumn("p", F.when(F.col("algo") == "seq", 4).otherwise(F.col("p")))
+    return E.by_type(log.where("p = 4"))
+
+
+QUERIES["w6_component"] = _components
+QUERIES["w9_by_type"] = _by_type
+_axis("w10_star_shrink", ("doc_source",), {"cluster": config(max_levels=1), "matching": config("matching", max_levels=1), "two_hop": config("matching", two_hop=True, max_levels=1)}, seeds=1)
+_axis("w11_p_sweep", _BOTH, {"full": config()}, (1, 16, 31), k=16)
+_axis("w12_rounds", _BOTH, {f"rounds_{r}": config(global_rounds=r) for r in (0, 1, 3, 6)}, k=16)
+_axis("w13_alpha", _BOTH, {f"alpha_{a:g}": config(alpha=a) for a in (0.0, 0.1, 0.5, 1e9)}, k=16)
+_axis("w14_tables", _BOTH, {s: config(store=s) for s in ("array", "dict", "probe", "probe_local")}, seeds=1)
+_axis("gain_modes", _BOTH, {m: config(gain_mode=m) for m in ("recompute", "incremental")}, seeds=1)
+_axis("w17_trials", _BOTH, {f"trials_{t}": config(trials=t) for t in (1, 4, 16)}, k=16)
 
 
 def _phases(s: SparkSession, d: str) -> DataFrame:
-    r = runs(s, d, {g: csr_of(s, d, g) for g in ("emb_rgg", "page_links", "user_key")}, (4,), {"full": config()}, (1, 4), 1, log="w7")
+    r = runs(s, d, {g: csr_of(s, d, g) for g in ("emb_rgg", "page_links", "user_key")}, (16,), {"full": config()}, (1, 4), 2, log="w7")
     t = F.col("t_coarsen") + F.col("t_init") + F.col("t_refine")
     return r.groupBy("graph", "p").agg(*[F.round(F.avg(F.col(c) / t), 4).alias(c.replace("t_", "share_")) for c in ("t_coarsen", "t_init", "t_refine")])
 
 
 def _memory(s: SparkSession, d: str) -> DataFrame:
-    r = runs(s, d, {g: csr_of(s, d, g) for g in ("order_part", "page_links")}, (4,), {"full": config(global_rounds=1, lp_rounds_coarsen=3), "match": config("matching")}, (4,), 1, log="w8")
+    r = runs(s, d, {g: csr_of(s, d, g) for g in _BOTH}, (16,), {"full": config(), "match": config("matching")}, (4,), 1, log="w8", memory=True)
     return E.memory_saving(r, "full", "match")
 
 
 def _generated(s: SparkSession, d: str) -> DataFrame:
-    g = {"rgg": Gen.gen_rgg(s, 9), "delaunay": Gen.gen_delaunay(s, 8), "er": Gen.gen_er(s, 400), "rhg": Gen.gen_rhg(s, 400), "planted": Gen.planted(s, 4, 60, 0.2, 0.01)}
-    r = runs(s, d, {n: _arrays(s, x) for n, x in g.items()}, (4,), {"full": config(), "seq": config("seq_lp")}, (4,), 1, log="w15")
-    return r.select("graph", "algo", "n", "m", "cut", "imbalanced")
+    g = {"rgg": Gen.gen_rgg(s, 10), "delaunay": Gen.gen_delaunay(s, 9), "er": Gen.gen_er(s, 800), "rhg": Gen.gen_rhg(s, 1000), "planted": Gen.planted(s, 4, 60, 0.2, 0.01)}
+    r = runs(s, d, {n: _arrays(s, x) for n, x in g.items()}, (4, 16), {"full": config(), "seq": config("seq_lp")}, (4,), 2, log="w15")
+    return r.select("graph", "k", "algo", "seed", "n", "m", "cut", "imbalanced")
 
 
 QUERIES |= {"w7_phase_share": _phases, "w8_memory": _memory, "w15_generators": _generated}

@@ -95,8 +95,9 @@ def doc_overlap(spark: SparkSession, d: str, size: int = 5, most: int = 50) -> B
     words = F.expr(r"regexp_extract_all(text, '[^ \\n\\t\\r]+', 0)")
     docs = load(spark, d, "documents").select("doc_id", words.alias("w")).where(F.size("w") >= size)
     grams = docs.select("doc_id", F.explode(F.array_distinct(F.transform(F.sequence(F.lit(1), F.size("w") - (size - 1)), lambda i: F.concat_ws(" ", F.slice("w", i, size))))).alias("g"))
-    often = grams.groupBy("g").agg(F.count(F.lit(1)).alias("df"), F.collect_list(F.when(F.lit(True), F.col("doc_id"))).alias("ids")).where(f"df BETWEEN 2 AND {most}")
-    ids = often.select(F.sort_array("ids").alias("ids"))
+    # Counts come first, so that no list is longer than ``most``.
+    few = grams.groupBy("g").agg(F.count(F.lit(1)).alias("df")).where(f"df BETWEEN 2 AND {most}").select("g")
+    ids = grams.join(few, "g").groupBy("g").agg(F.sort_array(F.collect_list("doc_id")).alias("ids")).select("ids")
     pairs = ids.select("ids", F.posexplode("ids").alias("i", "src")).select("src", F.explode(F.slice("ids", F.col("i") + 2, F.size("ids"))).alias("dst"))
     return _graph(_counted(pairs), load(spark, d, "documents").select(F.col("doc_id").alias("id")))
 

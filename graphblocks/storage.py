@@ -12,7 +12,7 @@ def shared_dir(spark: SparkSession) -> str:
     """The session's spark.checkpoint.dir; only where that is unset (tests), a folder of this machine."""
     at = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.sparkContext.getCheckpointDir()
     if not at:
-        if not spark.sparkContext.master.startswith("local["):
+        if not spark.sparkContext.master.split("[")[0] == "local":
             raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         at = "file://" + tempfile.mkdtemp(prefix="graphblocks-")
         spark.sparkContext.setCheckpointDir(at)
