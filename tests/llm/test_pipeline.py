@@ -2,10 +2,9 @@
 
 import corpus_pipeline as P
 import duckdb
-import pytest
 
 from graphblocks.llm import jaccard_join, language_id
-from graphblocks.llm.line_dedup import digest as line_digest
+from graphblocks.llm.line_dedup import line_dedup
 from graphblocks.llm.substring_dedup import brute_force
 
 SF = "/root/testdata/sf0.001"
@@ -36,7 +35,7 @@ def test_stages(spark):
     assert a.count() - b.count() >= 2 and {r[0] for r in b.select("doc_id").collect()} == {r[0] for r in found.select("doc_id").collect()}
     assert b.where(f"doc_id IN ({10**6 + 1}, {10**6 + 2})").count() == 0
     a, b = out["line_dedup"]
-    lost = {r["doc_id"]: r["n_lines"] - r["n_removed"] for r in line_digest(a).collect()}
+    lost = {r["doc_id"]: r["n_lines"] - r["n_removed"] for r in line_dedup(a.select("doc_id", "text"), "blocks").collect()}
     assert any(v == 0 for v in lost.values())
     gone = {r[0] for r in a.select("doc_id").collect()} - {r[0] for r in b.select("doc_id").collect()}
     assert {d for d, v in lost.items() if v == 0} <= gone and b.where("text = ''").count() == 0
