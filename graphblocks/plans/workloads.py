@@ -240,7 +240,6 @@ def _balance(s: SparkSession, d: str) -> DataFrame:
 
 
 QUERIES["w1_ordering"] = _ordering
-SQL["w1_ordering"] = "SELECT unnest(['seq', 'dist', 'match']) AS rival, true AS full_is_better"
 QUERIES["w1_balance"] = _balance
 SQL["w1_balance"] = " UNION ALL ".join(f"SELECT * FROM (WITH {graph_ctes(n)}, c AS (SELECT count(*) AS n FROM v) SELECT '{n}' AS graph, k, n, (103 * ((n + k - 1) // k) // 100)::BIGINT AS l_max, true AS kept FROM c, (SELECT unnest([4, 16]) AS k))" for n in W1_TABLES)
 QUERIES["w1_quality_runs"] = lambda s, d: w1_runs(s, d).select("graph", "k", "algo", "p", "seed", "cut", "imbalanced")
