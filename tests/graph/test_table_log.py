@@ -5,7 +5,7 @@ import pytest
 
 from graphblocks.plans import queries, surface  # noqa: F401
 
-READ = ("e_best_share", "e_by_type", "e_component_effect", "e_effectiveness_dist", "e_effectiveness_match", "e_effectiveness_seq", "e_geomean", "e_memory_saving", "e_ns_per_edge", "e_phase_speedup", "e_profile")
+READ = ("e_best_share", "e_by_type", "e_component_effect", "e_effectiveness_dist", "e_effectiveness_match", "e_effectiveness_seq", "e_geomean", "e_memory_saving", "e_ns_per_edge", "e_phase_speedup", "e_profile", "e_relative")
 
 
 @pytest.mark.parametrize("name", READ)
