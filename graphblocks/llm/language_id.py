@@ -65,11 +65,11 @@ def _row_bounds(offsets: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
     return first, np.maximum(np.minimum(offsets[1:] - 2, n), first)
 
 
-def trigram_counts(data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
-    """(rows, CELLS) counts."""
+def trigram_counts(data: np.ndarray, offsets: np.ndarray, out: np.ndarray | None = None) -> np.ndarray:
+    """(rows, CELLS) counts, in ``out`` if it is given."""
     cells = _cells(data)
     first, last = _row_bounds(offsets, len(cells))
-    out = np.zeros((len(first), CELLS), np.float32)
+    out = np.zeros((len(first), CELLS), np.float32) if out is None else out
     for r, (a, b) in enumerate(zip(first.tolist(), last.tolist())):
         out[r] = np.bincount(cells[a:b], minlength=CELLS)
     return out
@@ -109,14 +109,16 @@ class LanguageModel:
 
 
 def fit(counts: np.ndarray, languages: list[str], steps: int = 150) -> LanguageModel:
-    """Fits the bits' classifiers (logistic loss, ridge) on the rows' counts."""
+    """Fits the bits' classifiers (logistic loss, ridge) on the rows' counts, which are overwritten: the driver has room for them once."""
     names = sorted(set(languages))
     code = codebook(len(names))
     want = code[[names.index(x) for x in languages]]
-    x = counts / np.maximum(counts.sum(1, keepdims=True), 1)
-    scale = 1 / (x.std(0) + 1e-4)
+    x = np.asarray(counts, np.float32)
+    x /= np.maximum(x.sum(1, keepdims=True), 1)
+    scale = 1 / (np.concatenate([x[:, i : i + 256].std(0) for i in range(0, CELLS, 256)]) + 1e-4)
     mean = x.mean(0)
-    x = ((x - mean) * scale).astype(np.float32)
+    x -= mean
+    x *= scale
     w = np.zeros((CELLS, code.shape[1]), np.float32)
     b = np.zeros(code.shape[1], np.float32)
     m, v = np.zeros_like(w), np.zeros_like(w)
@@ -152,10 +154,15 @@ def train(docs: DataFrame, sample_rows: int = SAMPLE_ROWS) -> LanguageModel | No
     picked = known.withColumn("order", order).where(F.col("order") < bar * (1 << 30))
     picked = picked.withColumn("place", F.row_number().over(Window.partitionBy("lang").orderBy("order", "doc_id"))).where(F.col("place") <= each)
     rows = picked.select("text", "lang").toArrow()
-    counts = []
-    for _, _, data, offsets in K.byte_chunks(rows.column("text")):
-        counts.append(trigram_counts(data, offsets))
-    return fit(np.concatenate(counts), rows.column("lang").to_pylist())
+    return fit(*sample_counts(rows))
+
+
+def sample_counts(rows: pa.Table) -> tuple[np.ndarray, list[str]]:
+    """The counts of the sample's texts and their languages, without copies of either."""
+    counts = np.zeros((rows.num_rows, CELLS), np.float32)
+    for i, j, data, offsets in K.byte_chunks(rows.column("text")):
+        trigram_counts(data, offsets, counts[i:j])
+    return counts, rows.column("lang").to_pylist()
 
 
 def identify(docs: DataFrame, model: LanguageModel | None) -> DataFrame:
