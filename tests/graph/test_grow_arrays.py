@@ -43,3 +43,11 @@ def test_large_sides_hold_less_memory():
         kernels.GROW_BY_ARRAYS = kept
         tracemalloc.stop()
     assert whole < 0.8 * lists
+
+
+def test_single_gains_by_lists_and_arrays():
+    csr = graph(300, 3000, 2, 1, 9)
+    block = np.arange(300) % 3
+    for v in range(300):
+        few, many = (kernels._alone(csr, block, v, 1, 0, n) for n in (1 << 40, 0))
+        assert few[0] == many[0] and few[1] == many[1].tolist() and few[2] == many[2].tolist()
