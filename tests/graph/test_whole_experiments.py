@@ -36,6 +36,13 @@ def test_quality(spark, asked):
     assert [(r.p, r.n) for r in sorted(rows["w2_effect_match"])] == [(1, 20), (4, 20), (31, 20)]
 
 
+def test_memory(spark, asked):
+    rows = W.QUERIES["w8_memory"](spark, SF).collect()
+    graphs, ks, ps, seeds = asked["w8"]
+    assert len(graphs) == 3 and 16 in ks and {1, 31} <= set(ps) and seeds == 10
+    assert sorted(r.p for r in rows) == [1, 4, 31]
+
+
 @pytest.mark.parametrize("algo", list(W.VARIANTS))
 def test_more_blocks_than_vertices(spark, algo):
     csr = W.csr_of(spark, SF, "nation_trade")
